@@ -70,10 +70,30 @@ def text_slices(batch: pa.RecordBatch, column: str = "text", limit: int = SLICE_
         start = stop
 
 
+def text_buffers(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Offsets from 0 and UTF-8 bytes of texts; null is empty."""
+    text = pc.fill_null(text, "").cast(pa.large_string())
+    if not len(text):
+        return np.zeros(1, np.int64), np.zeros(0, np.uint8)
+    off = np.frombuffer(text.buffers()[1], np.int64)[text.offset : text.offset + len(text) + 1]
+    data = np.frombuffer(text.buffers()[2], np.uint8)[off[0] : off[-1]] if off[-1] > off[0] else np.zeros(0, np.uint8)
+    return off - off[0], data
+
+
+def from_buffers(offsets: np.ndarray, data: np.ndarray) -> pa.Array:
+    """The strings that lie between consecutive offsets."""
+    return pa.LargeStringArray.from_buffers(len(offsets) - 1, pa.py_buffer(np.ascontiguousarray(offsets, np.int64)), pa.py_buffer(np.ascontiguousarray(data)))
+
+
+def lowered(text: pa.Array) -> pa.Array:
+    """A-Z in lower case. pyarrow's own kernel spoils multi-byte characters in slices, so the bytes are shifted here."""
+    off, data = text_buffers(text)
+    return from_buffers(off, data + np.uint8(32) * ((data >= 65) & (data <= 90)))
+
+
 def words_of(text: pa.Array) -> tuple[pa.Array, np.ndarray]:
     """Flat words of lower-cased (A-Z) texts, split at ASCII white space, and the row of each word; null is empty."""
-    text = pc.fill_null(text, "").cast(pa.large_string())
-    lists = pc.ascii_split_whitespace(pc.ascii_lower(text))
+    lists = pc.ascii_split_whitespace(lowered(text))
     counts = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
     rows = np.repeat(np.arange(len(text)), counts)
     flat = lists.flatten()

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from orderproof.llm import exact_dedup, secrets
+from orderproof.llm import exact_dedup, secrets, toxicity
 
 QUERIES = {
     "op2_secret_scan": secrets.query,
+    "op7_toxicity": toxicity.query,
     "op10_exact_dedup": exact_dedup.query,
 }
 ORACLES = {"op10_exact_dedup": exact_dedup.ORACLE}
