@@ -61,7 +61,7 @@ class Sparse:
 
 
 def nnpu(positive: Sparse, unlabelled: Sparse, size: int, prior: float, epochs: int = 60, batches: int = 8, rate: float = 0.05, decay: float = 1e-4) -> tuple[np.ndarray, float, list[float]]:
-    """Weights, bias and the risk after each epoch; sigmoid loss, Adam."""
+    """Weights, bias and the risk after each epoch; logistic loss, Adam."""
     w, bias, risks = np.zeros(size), 0.0, []
     m, v, step = np.zeros(size + 1), np.zeros(size + 1), 0
     cut = lambda x, k: (x.n * k // batches, x.n * (k + 1) // batches)
@@ -71,16 +71,16 @@ def nnpu(positive: Sparse, unlabelled: Sparse, size: int, prior: float, epochs:
             p, u = positive.take(*cut(positive, k)), unlabelled.take(*cut(unlabelled, k))
             if not p.n or not u.n:
                 continue
-            sp, su = _sigmoid(p.margin(w, bias)), _sigmoid(u.margin(w, bias))
-            negative = su.mean() - prior * sp.mean()  # the loss of calling x negative is sigmoid(margin)
-            total += prior * (1 - sp).mean() + max(0.0, negative)
-            dp, du = sp * (1 - sp) / p.n, su * (1 - su) / u.n
-            gp, bp = p.back(dp, size)
-            gu, bu = u.back(du, size)
-            if negative >= 0:
-                g, b = gu - 2 * prior * gp, bu - 2 * prior * bp
+            mp, mu = p.margin(w, bias), u.margin(w, bias)
+            negative = np.logaddexp(0, mu).mean() - prior * np.logaddexp(0, mp).mean()
+            total += prior * np.logaddexp(0, -mp).mean() + max(0.0, negative)
+            gu, bu = u.back(_sigmoid(mu) / u.n, size)
+            if negative >= 0:  # the two terms of the positives add up to a constant slope
+                gp, bp = p.back(np.full(p.n, prior / p.n), size)
+                g, b = gu - gp, bu - bp
             else:
-                g, b = prior * gp - gu, prior * bp - bu
+                gp, bp = p.back(prior * _sigmoid(mp) / p.n, size)
+                g, b = gp - gu, bp - bu
             g = np.append(g + decay * w, b)
             step += 1
             m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
