@@ -60,7 +60,7 @@ class Sparse:
         return np.bincount(self.col, g[self.row], size), float(g.sum())
 
 
-def nnpu(positive: Sparse, unlabelled: Sparse, size: int, prior: float, epochs: int = 60, batches: int = 8, rate: float = 0.05, decay: float = 1e-4) -> tuple[np.ndarray, float, list[float]]:
+def nnpu(positive: Sparse, unlabelled: Sparse, size: int, prior: float, epochs: int = 60, batches: int = 8, rate: float = 0.02, decay: float = 2e-3) -> tuple[np.ndarray, float, list[float]]:
     """Weights, bias and the risk after each epoch; logistic loss, Adam."""
     w, bias, risks = np.zeros(size), 0.0, []
     m, v, step = np.zeros(size + 1), np.zeros(size + 1), 0
