@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from orderproof.llm import exact_dedup, secrets, toxicity
+from orderproof.llm import exact_dedup, ngram_join, secrets, toxicity
 
 QUERIES = {
     "op2_secret_scan": secrets.query,
+    "op4_ngram_jaccard": ngram_join.query,
     "op7_toxicity": toxicity.query,
     "op10_exact_dedup": exact_dedup.query,
 }
-ORACLES = {"op10_exact_dedup": exact_dedup.ORACLE}
+ORACLES = {"op4_ngram_jaccard": ngram_join.ORACLE, "op10_exact_dedup": exact_dedup.ORACLE}
