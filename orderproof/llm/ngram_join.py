@@ -1,7 +1,7 @@
 """Exact Jaccard join of word n-gram sets by parity sketches.
 
 Every set is cut by hash into segments, and each segment keeps the parities of its hashed n-grams (their XOR). Sets that meet
-the threshold differ in at most d n-grams, so of d+1 segments one has equal parities: that is the join key, per size band.
+the threshold differ in at most d n-grams, so of d+1 segments one has equal parities: that is the join key, per size band (a few more segments make up for empty ones).
 The Hamming distance of whole-set sketches, which is never above the symmetric difference, then discards most pairs, and exact
 sets decide the rest. Equal sets are one node from the start. Within a bucket, first everything is compared with the smallest
 node; later only members of different components are, so a group of near copies isn't expanded into all its pairs.
@@ -73,43 +73,37 @@ def join_keys(row: np.ndarray, h: np.ndarray, size: np.ndarray, percent: int) ->
         both_row.append(np.flatnonzero(takes))
         both_group.append(band[takes] + up)
     rows, group = np.concatenate(both_row), np.concatenate(both_group)
-    parts = 2 * (start[group + 1] - 1) * (100 - percent) // (100 + percent) + 1
+    apart = 2 * (start[group + 1] - 1) * (100 - percent) // (100 + percent)
+    spare = (0.03 * (apart + 1) + 2 * np.sqrt(0.03 * (apart + 1))).astype(np.int64)
+    parts = apart + 1 + spare
 
-    def segments(rows, group, parts, tag, high):
+    def segments(rows, parts, tag, again):
+        """Owner (index into rows) and key of each segment, and whether it holds anything."""
         n = size[rows]
-        if not n.sum():
-            return np.zeros(0, np.int64), np.zeros(0, np.uint64), (np.zeros(0, np.int64),) * 2
-        item = np.repeat(at[rows] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        entry = np.repeat(np.arange(len(rows)), n)
-        base = np.concatenate([[0], np.cumsum(parts)[:-1]])
-        x = h[item] if high else mix64(h[item] ^ U(0x5851F42D4C957F2D))
-        slot = base[entry] + (((x >> U(32)) * parts[entry].astype(U)) >> U(32)).astype(np.int64)
-        if not high:
-            order = np.argsort(slot, kind="stable")
-            slot, x = slot[order], x[order]
-        bit = mix64((x & U(0xFFFF)) + U(1))
-        cut = np.flatnonzero(np.concatenate([[True], slot[1:] != slot[:-1]]))
-        parity = np.bitwise_xor.reduceat(bit, cut)
-        used = slot[cut]
         owner = np.repeat(np.arange(len(rows)), parts)
-        part = np.arange(parts.sum()) - base[owner]
-        name = mix64(tag[owner] * U(0x2545F4914F6CDD1D) + part.astype(U))
-        seen = np.zeros(parts.sum(), bool)
-        seen[used] = True
-        keys = np.zeros(parts.sum(), np.uint64)
-        keys[used] = mix64(parity ^ name[used])
-        keys[~seen] = name[~seen]
-        return owner, keys, (np.flatnonzero(~seen), name)
-
-    owner, keys, (empty, name) = segments(rows, group, parts, mix64(group.astype(U)), True)
-    # an empty segment says nothing: there the sets are cut again by another hash
-    again = segments(rows[owner[empty]], group[owner[empty]], parts[owner[empty]], name[empty], False) if len(empty) else None
-    full = np.ones(len(keys), bool)
-    full[empty] = False
-    out_row, out_key = rows[owner[full]], keys[full]
-    if again is not None:
-        out_row, out_key = np.concatenate([out_row, rows[owner[empty]][again[0]]]), np.concatenate([out_key, again[1]])
-    return out_row, out_key
+        base = np.concatenate([[0], np.cumsum(parts)[:-1]]).astype(np.int64)
+        name = mix64(tag[owner] * U(0x2545F4914F6CDD1D) + (np.arange(len(owner)) - base[owner]).astype(U))
+        seen = np.zeros(len(owner), bool)
+        if len(owner):
+            item = np.repeat(at[rows] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
+            entry = np.repeat(np.arange(len(rows)), n)
+            x = mix64(h[item] ^ U(0x5851F42D4C957F2D)) if again else h[item]
+            slot = base[entry] + (((x >> U(32)) * parts[entry].astype(U)) >> U(32)).astype(np.int64)
+            if again:
+                order = np.argsort(slot, kind="stable")
+                slot, x = slot[order], x[order]
+            cut = np.flatnonzero(np.concatenate([[True], slot[1:] != slot[:-1]]))  # sorted hashes fill segments in order
+            parity = np.bitwise_xor.reduceat(mix64((x & U(0xFFFF)) + U(1)), cut)
+            seen[slot[cut]] = True
+            name[slot[cut]] = mix64(parity ^ name[slot[cut]])
+        return owner, name, seen
+
+    # Of the segments at least spare + 1 are equal. An empty one says nothing, so a set with more empty ones than `spare` also
+    # takes part in a second cut, by another hash: two such sets may agree in empty segments only.
+    owner, key, seen = segments(rows, parts, mix64(group.astype(U)), False)
+    bare = np.flatnonzero(np.bincount(owner[~seen], minlength=len(rows)) > spare)
+    owner2, key2, _ = segments(rows[bare], apart[bare] + 1, mix64(group[bare].astype(U) + U(1 << 32)), True)
+    return np.concatenate([rows[owner[seen]], rows[bare][owner2]]), np.concatenate([key[seen], key2])
 
 
 def _sums(row: np.ndarray, x: np.ndarray, n: int) -> np.ndarray:
