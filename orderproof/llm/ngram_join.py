@@ -137,10 +137,10 @@ def _describe(n: int, percent: int):
                 sketch = np.packbits((bits & 1).astype(np.uint8)).view(np.int64)
                 yield pa.RecordBatch.from_arrays(
                     [
-                        part.column("id"), pa.array(np.arange(uid, uid + m)), pa.array(size), pa.array(hi), pa.array(lo), _lists(krow[order], key[order], m),
+                        part.column("id"), part.column("row"), pa.array(np.arange(uid, uid + m)), pa.array(size), pa.array(hi), pa.array(lo), _lists(krow[order], key[order], m),
                         pa.ListArray.from_arrays(pa.array(np.arange(0, m * SKETCH_WORDS + 1, SKETCH_WORDS, dtype=np.int32)), pa.array(sketch)),
                     ],
-                    ["id", "uid", "n", "hi", "lo", "keys", "sketch"],
+                    ["id", "row", "uid", "n", "hi", "lo", "keys", "sketch"],
                 )
                 uid += m
 
@@ -160,15 +160,16 @@ def _exact(n: int):
     return run
 
 
-def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """(members, edges): a row per row of docs with id, n_shingles and component_id, and verified links (a, b) of node ids.
+def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> tuple[DataFrame, DataFrame]:
+    """(members, edges): a row per row of docs with id, row (row_col, if given), n_shingles, component_id and group (a number of the component), and verified links (a, b) of node ids.
 
     Texts link where 100 * |A & B| >= percent * |A | B| over their n-gram sets; component_id is the smallest id reachable. Null ids
     are rows too, whose component is the smallest other id, or null. Texts without words link with nothing. Rows with the same id but
     other texts are documents of their own. Other columns aren't read.
     """
-    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    rows = staged(texts.mapInArrow(_describe(n, percent), "id long, uid long, n long, hi long, lo long, keys array<long>, sketch array<long>"), "sets")
+    row = F.col(row_col) if row_col else F.lit(None)
+    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), row.cast("long").alias("row"))
+    rows = staged(texts.mapInArrow(_describe(n, percent), "id long, row long, uid long, n long, hi long, lo long, keys array<long>, sketch array<long>"), "sets")
     full = rows.filter("n > 0")
     same = full.groupBy("hi", "lo").agg(F.min("uid").alias("node"), F.min("id").alias("first"))
     same = staged(same, "same")
@@ -206,16 +207,27 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
         known = components(edges)
     names = same.join(known, "node", "left").select("hi", "lo", "node", "first", F.coalesce("component", "node").alias("c"))
     least = names.groupBy("c").agg(F.min("first").alias("component_id"))
-    names = staged(names.join(least, "c").select("hi", "lo", "component_id"), "names")
-    alone = rows.filter("n = 0").select("id", F.col("n").alias("n_shingles"), F.col("id").alias("component_id"))
-    grouped = rows.filter("n > 0").join(names, ["hi", "lo"]).select("id", F.col("n").alias("n_shingles"), "component_id")
+    names = staged(names.join(least, "c").select("hi", "lo", "component_id", F.col("c").alias("group")), "names")
+    alone = rows.filter("n = 0").select("id", "row", F.col("n").alias("n_shingles"), F.col("id").alias("component_id"), F.col("uid").alias("group"))
+    grouped = rows.filter("n > 0").join(names, ["hi", "lo"]).select("id", "row", F.col("n").alias("n_shingles"), "component_id", "group")
     return grouped.unionAll(alone), edges
 
 
+def first_of_each(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of docs that stay: of each group of near duplicates the one with the smallest id (one of them, where ids
+    repeat). Texts without words stay."""
+    rows = staged(docs.withColumn("__row", F.monotonically_increasing_id()), "docs")
+    members, _ = link(rows, n, percent, id_col, text_col, row_col="__row")
+    place = F.struct(F.col("id").isNull().alias("none"), "id", "row")
+    keep = members.filter("n_shingles > 0").groupBy("group").agg(F.min(place)["row"].alias("__row"))
+    keep = keep.select("__row").union(members.filter("n_shingles = 0").select("row"))
+    return rows.join(keep, "__row", "left_semi").select(*docs.columns)
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     members, _ = link(docs, n=4, percent=85)
-    return members.withColumnRenamed("id", "doc_id")
+    return members.select(F.col("id").alias("doc_id"), "n_shingles", "component_id")
 
 
 ORACLE = r"""

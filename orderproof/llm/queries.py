@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from orderproof.llm import exact_dedup, line_dedup, ngram_join, secrets, toxicity
+from orderproof.llm import exact_dedup, line_dedup, ngram_join, packing, secrets, toxicity
 
 QUERIES = {
     "op1_line_dedup": line_dedup.query,
     "op2_secret_scan": secrets.query,
+    "op3_packing": packing.query,
     "op4_ngram_jaccard": ngram_join.query,
     "op7_toxicity": toxicity.query,
     "op10_exact_dedup": exact_dedup.query,

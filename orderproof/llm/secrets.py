@@ -80,7 +80,8 @@ def random_samples(spark: SparkSession, each: int = 2000) -> DataFrame:
 def ordinary_samples(docs: DataFrame, documents: int = 400, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Labelled ordinary identifiers: words of a bounded sample of documents (those with the smallest hash of id), each
     also joined to the next one as snake_case and CamelCase. Words with a digit aren't used."""
-    few = docs.select(F.col(text_col).alias("t")).filter("t is not null").orderBy(F.xxhash64(docs[id_col], F.lit(7)), docs[id_col]).limit(documents)
+    ids = docs.filter(docs[text_col].isNotNull()).select(F.col(id_col).alias("i")).orderBy(F.xxhash64("i", F.lit(7)), "i").limit(documents)
+    few = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).join(F.broadcast(ids), "i", "left_semi")
     words = few.select(F.filter(F.split("t", r"[^A-Za-z0-9_-]+", -1), lambda w: (F.length(w) >= 2) & ~w.rlike("[0-9]")).alias("w"))
     pair = F.zip_with(F.col("w"), F.slice(F.col("w"), 2, 1 << 30), lambda a, b: F.array(a, F.concat_ws("_", a, b), F.concat(F.initcap(a), F.initcap(b))))
     return words.select(F.explode(F.flatten(pair)).alias("sample")).filter("sample is not null")
@@ -130,10 +131,10 @@ def find(docs: DataFrame, model: RandomnessModel, id_col: str = "doc_id", text_c
     )
 
 
-def redact(docs: DataFrame, model: RandomnessModel, text_col: str = "text", mask: str = "[SECRET]") -> DataFrame:
+def redact(docs: DataFrame, model: RandomnessModel, text_col: str = "text", mask: str = "[SECRET]", count_col: str | None = None) -> DataFrame:
     """docs with every secret in its text replaced by the mask (of an assignment its value only). Other columns, and rows, stay.
 
-    Kind by kind the text is put together again from gaps and matches, which is linear in its length. Null texts stay null.
+    Kind by kind the text is put together again from gaps and matches, which is linear in its length. Null texts stay null. `count_col`, where docs has it, becomes the length of a text that changed.
     """
 
     def masked(text: Column, kind: int, pattern: str, ok) -> Column:
@@ -145,10 +146,14 @@ def redact(docs: DataFrame, model: RandomnessModel, text_col: str = "text", mask
             new = F.transform(whole, lambda m: F.when(ok(m), F.lit(mask)).otherwise(m))
         return F.when(text.rlike(pattern), F.array_join(F.zip_with(gaps, new, lambda g, m: F.concat(g, F.coalesce(m, F.lit("")))), "")).otherwise(text)
 
-    out = docs
+    new = F.col(text_col)
     for kind, (pattern, ok) in enumerate(_tests(model)):
-        out = out.withColumn(text_col, masked(F.col(text_col), kind, pattern, ok))
-    return out
+        new = masked(new, kind, pattern, ok)
+    if count_col not in docs.columns:
+        return docs.withColumn(text_col, new)
+    met = docs.withColumn("__new", new)
+    count = F.when(F.col("__new") != F.col(text_col), F.char_length("__new").cast(docs.schema[count_col].dataType)).otherwise(F.col(count_col))
+    return met.withColumn(count_col, count).withColumn(text_col, F.col("__new")).select(*docs.columns)
 
 
 def default_model(docs: DataFrame) -> RandomnessModel:
