@@ -22,6 +22,11 @@ def ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
 
 
+@lru_cache(maxsize=4)
+def token_bytes(path: str) -> dict[int, bytes]:
+    return {i: b for b, i in ranks(path).items()}
+
+
 class Encoder:
     """Ids of strings by a rank file; a worker keeps one for each file."""
 
