@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import gc
 import tempfile
 import uuid
 
@@ -48,7 +49,22 @@ def staged(df: DataFrame, name: str, partition_by: list[str] | None = None) -> D
     path = scratch_path(spark, name)
     w = df.write.mode("overwrite")
     (w.partitionBy(*partition_by) if partition_by else w).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    swept(spark)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def swept(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of finished jobs now; it does so when the driver collects their handles as garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def released(*tables: DataFrame) -> None:
+    """Deletes staged tables that nothing reads any more."""
+    for t in tables:
+        _delete(t.sparkSession, t._scratch)
 
 
 def plan_bytes(df: DataFrame) -> int:
@@ -139,8 +155,9 @@ def components(edges: DataFrame, name: str = "cc") -> DataFrame:
         low = down.groupBy("u").agg(F.min("v").alias("m"))
         joined = down.join(low, "u").select("u", "v", "m")
         nxt = staged(joined.select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v")).filter("u != v").distinct(), name)
+        released(e, down)
         e = nxt
-        roots = e.select(F.col("u").alias("v")).distinct()
         told = e.agg(F.count("*").alias("n"), F.countDistinct("u").alias("k")).head()
+        roots = e.select(F.col("u").alias("v")).distinct()
         if told.n == told.k and not e.join(roots, "v", "left_semi").limit(1).count():
             return e.select(F.col("u").alias("node"), F.col("v").alias("component"))

@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import mix64, staged, text_slices, word_hashes, words_of
+from orderproof.llm.common import mix64, released, staged, text_slices, word_hashes, words_of
 
 COUNT_BITS = 16
 U = np.uint64
@@ -64,7 +64,7 @@ def word_counts(docs: DataFrame, text_col: str) -> np.ndarray:
 
 
 def _sets(percent: int, least: int, counts):
-    """Per line with `least` words or more: doc id, row, number, digest (hi, lo), size, and its postings."""
+    """Per line with `least` words or more: doc id, row, number, digest (hi, lo), size, parity sketch, and its postings."""
 
     def run(batches):
         rank = counts.value
@@ -85,12 +85,14 @@ def _sets(percent: int, least: int, counts):
                 item = np.repeat(at[:-1] - np.concatenate([[0], np.cumsum(post)[:-1]]), post) + np.arange(post.sum())
                 ends = np.concatenate([[0], np.cumsum(post[use])]).astype(np.int32)
                 pick = pa.array(owner[use])
+                parity = np.bincount(line << 6 | (h & U(63)).astype(np.int64), minlength=n << 6) & 1
+                sketch = np.packbits(parity.astype(np.uint8)).view(np.int64)
                 yield pa.RecordBatch.from_arrays(
                     [
                         part.column("id").take(pick), part.column("row").take(pick), pa.array(number[use].astype(np.int32)), pa.array(hi[use].view(np.int64)), pa.array(lo[use].view(np.int64)),
-                        pa.array(size[use].astype(np.int32)), pa.ListArray.from_arrays(pa.array(ends), pa.array(h[item].view(np.int64))),
+                        pa.array(size[use].astype(np.int32)), pa.array(sketch[use]), pa.ListArray.from_arrays(pa.array(ends), pa.array(h[item].view(np.int64))),
                     ],
-                    ["id", "row", "number", "hi", "lo", "n", "post"],
+                    ["id", "row", "number", "hi", "lo", "n", "sketch", "post"],
                 )
 
     return run
@@ -122,45 +124,51 @@ def mark(docs: DataFrame, percent: int = 80, least: int = 3, id_col: str = "doc_
     spark = docs.sparkSession
     counts = spark.sparkContext.broadcast(word_counts(docs, text_col))
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col("row"), F.col(text_col).alias("text"))
-    lines = staged(texts.mapInArrow(_sets(percent, least, counts), "id long, row long, number int, hi long, lo long, n int, post array<long>"), "lines")
+    lines = staged(texts.mapInArrow(_sets(percent, least, counts), "id long, row long, number int, hi long, lo long, n int, sketch long, post array<long>"), "lines")
     place = F.struct(F.col("id").isNull().alias("none"), "id", "row", "number")
-    nodes = staged(lines.groupBy("hi", "lo").agg(F.min(place).alias("at"), F.first("n").alias("n"), F.first("post").alias("post"), F.count("*").alias("k")), "nodes")
-    name = F.struct(F.col("at.none"), F.col("at.id").alias("id"), F.col("at.row").alias("row"), F.col("at.number").alias("number"))
-    posts = nodes.select(name.alias("node"), "n", F.posexplode("post").alias("pos", "word"))
+    equal = lines.groupBy("hi", "lo").agg(F.min(place).alias("at"), F.count("*").alias("k"))
+    # numbered in order, so that an earlier node has a smaller number
+    nodes = staged(equal.orderBy("at").select(F.monotonically_increasing_id().alias("node"), "hi", "lo", F.col("at.row").alias("row"), F.col("at.number").alias("number"), "k"), "nodes")
+    own = lines.select("row", "number", "n", "sketch", "post").join(nodes.select("node", "row", "number"), ["row", "number"])
+    posts = own.select("node", "n", "sketch", F.posexplode("post").alias("pos", "word"))
     of_word = W.partitionBy("word")
     shared = staged(posts.withColumn("low", F.min("node").over(of_word)).withColumn("high", F.max("node").over(of_word)).filter("low != high").drop("high"), "shared")
 
-    def allowed(na: Column, pa_: Column, nb: Column, pb: Column) -> Column:
+    def allowed() -> Column:
+        """Length, positional and sketch filters on a pair of postings of one word."""
+        na, pa_, nb, pb = (F.col(x) for x in ("na", "pa", "nb", "pb"))
         need = F.ceil((na + nb) * percent / (100 + percent))
         left = F.least(na - pa_, nb - pb)  # the common word itself and what follows it on both sides
-        return (100 * F.least(na, nb) >= percent * F.greatest(na, nb)) & (left + F.least(pa_, pb) >= need)
+        apart = F.bit_count(F.col("sa").bitwiseXOR(F.col("sb")))
+        fits = (100 * F.least(na, nb) >= percent * F.greatest(na, nb)) & (left + F.least(pa_, pb) >= need)
+        return fits & (apart * (100 + percent) <= (na + nb) * (100 - percent))
 
     def found(pairs: DataFrame) -> DataFrame:
         """Nodes b of candidate pairs (a before b) that are alike."""
         pairs = staged(pairs.distinct(), "candidates")
-        used = pairs.select("a").union(pairs.select("b")).distinct().withColumnRenamed("a", "node")
-        by_doc = used.groupBy(F.col("node.id").alias("id"), F.col("node.row").alias("row")).agg(F.collect_list("node").alias("nodes"), F.collect_list("node.number").alias("numbers"))
-        own = texts.join(by_doc.withColumnRenamed("id", "own"), "row").select("nodes", "numbers", "text")
-        words = staged(own.mapInArrow(_words, "node struct<none:boolean,id:bigint,row:bigint,number:int>, words array<long>"), "words")
+        used = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "row", "number"), "node")
+        by_doc = used.groupBy("row").agg(F.collect_list("node").alias("nodes"), F.collect_list("number").alias("numbers"))
+        own = texts.join(by_doc, "row").select("nodes", "numbers", "text")
+        words = staged(own.mapInArrow(_words, "node long, words array<long>"), "words")
         side = lambda k: words.select(F.col("node").alias(k), F.col("words").alias(f"w{k}"))
         met = pairs.join(side("b"), "b").join(side("a"), "a").withColumn("common", F.size(F.array_intersect("wa", "wb")))
         alike = 100 * F.col("common") >= percent * (F.size("wa") + F.size("wb") - F.col("common"))
-        return staged(met.filter(alike).select(F.col("b").alias("node")).distinct(), "alike")
+        out = staged(met.filter(alike).select(F.col("b").alias("node")).distinct(), "alike")
+        released(pairs, words)
+        return out
 
-    low = shared.filter("node = low").select("word", F.col("node").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
-    rest = shared.select("word", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
-    sized = allowed(F.col("na"), F.col("pa"), F.col("nb"), F.col("pb"))
-    star = rest.join(low, "word").filter("a < b").filter(sized).select("a", "b")
-    gone = found(star)
+    posting = lambda k, rows: rows.select("word", F.col("node").alias(k), F.col("n").alias(f"n{k}"), F.col("pos").alias(f"p{k}"), F.col("sketch").alias(f"s{k}"))
+    rest, low, every = posting("b", shared.filter("node != low")), posting("a", shared.filter("node = low")), posting("a", shared.filter("node != low"))
+    gone = found(rest.join(low, "word").filter(allowed()).select("a", "b"))
     open_ = rest.join(gone.withColumnRenamed("node", "b"), "b", "left_anti")
-    every = shared.filter("node != low").select("word", F.col("node").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
-    more = open_.join(every, "word").filter("a < b").filter(sized).select("a", "b")
-    gone = gone.union(found(more))
+    gone = gone.union(found(open_.join(every, "word").filter("a < b").filter(allowed()).select("a", "b")))
+    released(shared)
     # a node that goes loses all its lines; of the others every line but the first goes
-    nodes_gone = gone.withColumn("all", F.lit(True))
-    state = nodes.select("hi", "lo", name.alias("node"), "k").join(nodes_gone, "node", "left").filter("k > 1 or all").select("hi", "lo", "node", F.coalesce("all", F.lit(False)).alias("all"))
-    out = lines.select("id", "row", "number", "hi", "lo").join(staged(state, "state"), ["hi", "lo"])
-    return out.filter(F.col("all") | (F.col("row") != F.col("node.row")) | (F.col("number") != F.col("node.number"))).select("id", "row", "number")
+    all_gone = gone.withColumn("all", F.lit(True))
+    state = nodes.select("hi", "lo", "node", "k", F.col("row").alias("first_row"), F.col("number").alias("first_number")).join(all_gone, "node", "left").filter("k > 1 or all")
+    state = staged(state.select("hi", "lo", "first_row", "first_number", F.coalesce("all", F.lit(False)).alias("all")), "state")
+    out = lines.select("id", "row", "number", "hi", "lo").join(state, ["hi", "lo"])
+    return out.filter("all or row != first_row or number != first_number").select("id", "row", "number")
 
 
 def drop_lines(docs: DataFrame, percent: int = 80, least: int = 3, id_col: str = "doc_id", text_col: str = "text", count_col: str | None = "n_chars") -> DataFrame:

@@ -15,7 +15,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import components, mix64, staged, text_slices, word_hashes, words_of
+from orderproof.llm.common import components, mix64, released, staged, text_slices, word_hashes, words_of
 
 SKETCH_WORDS = 16  # of 64 bits
 U = np.uint64
@@ -192,7 +192,9 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
         grams = staged(grams, "grams")
         met = close.join(grams.select(F.col("node").alias("b"), F.col("grams").alias("gb")), "b").join(grams.select(F.col("node").alias("a"), F.col("grams").alias("ga")), "a")
         met = met.withColumn("common", F.size(F.array_intersect("ga", "gb")))
-        return staged(met.filter(100 * F.col("common") >= percent * (F.col("na") + F.col("nb") - F.col("common"))).select("a", "b"), "links")
+        links = staged(met.filter(100 * F.col("common") >= percent * (F.col("na") + F.col("nb") - F.col("common"))).select("a", "b"), "links")
+        released(close, grams)
+        return links
 
     edges = verified(pairs)
     known = components(edges)
