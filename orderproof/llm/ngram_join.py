@@ -12,7 +12,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderproof.llm.common import components, mix64, released, staged, text_slices, word_hashes, words_of
@@ -180,11 +180,14 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
     pairs = staged(shared.filter("node != low").select(F.col("node").alias("b"), F.col("low").alias("a")).distinct(), "pairs")
     light = full.select(F.col("uid").alias("node"), "n", "sketch")
 
+    def near() -> Column:
+        apart = F.aggregate(F.zip_with("sa", "sb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
+        return apart * (100 + percent) <= (F.col("na") + F.col("nb")) * (100 - percent)
+
     def verified(pairs: DataFrame) -> DataFrame:
         side = lambda k: light.select(F.col("node").alias(k), F.col("n").alias(f"n{k}"), F.col("sketch").alias(f"s{k}"))
         met = pairs.join(side("b"), "b").join(side("a"), "a")
-        apart = F.aggregate(F.zip_with("sa", "sb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
-        close = staged(met.filter(apart * (100 + percent) <= (F.col("na") + F.col("nb")) * (100 - percent)).select("a", "b", "na", "nb"), "close")
+        close = staged(met.filter(near()).select("a", "b", "na", "nb"), "close")
         used = close.select(F.explode(F.array("a", "b")).alias("node")).distinct()
         wanted = same.join(used, "node")
         own = texts.join(wanted, F.col("id").eqNullSafe(F.col("first"))).select("node", "hi", "lo", "text")
@@ -200,9 +203,12 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
     known = components(edges)
     of = shared.join(known, "node", "left").select("key", "node", F.coalesce("component", "node").alias("c"))
     mixed = of.groupBy("key").agg(F.min("c").alias("least"), F.max("c").alias("most")).filter("least != most").select("key", "least")
-    of = staged(of.join(mixed, "key"), "mixed")
-    other = of.select("key", F.col("node").alias("y"), F.col("c").alias("cy"))
-    cross = of.filter("c != least").join(other, "key").filter("c != cy").select(F.least("node", "y").alias("a"), F.greatest("node", "y").alias("b")).distinct()
+    # of the pairs in a bucket only those go on that the sketches allow
+    of = staged(of.join(mixed, "key").join(light, "node"), "mixed")
+    of, other = (of.select("key", "least", F.col("node").alias(x), F.col("c").alias(f"c{x}"), F.col("n").alias(f"n{x}"), F.col("sketch").alias(f"s{x}")) for x in "ab")
+    other = other.withColumnRenamed("key", "key2")
+    met = of.filter("ca != least").join(other.drop("least"), (F.col("key") == F.col("key2")) & (F.col("ca") != F.col("cb")) & near())
+    cross = met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     more = staged(cross.join(pairs, ["a", "b"], "left_anti"), "cross")
     if more.limit(1).count():
         edges = edges.union(verified(more))
