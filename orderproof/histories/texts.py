@@ -30,8 +30,8 @@ op0 AS (SELECT session_id * 1000000 + block + 1 AS txn_id, block, session_id, us
          CASE WHEN (block * 7 + session_id) % 10 < {WRITERS[mix]} THEN 'w' ELSE 'r' END AS kind, concat('part:', cast(o AS {d["str"]})) AS obj FROM bl),
 op1 AS (SELECT *, {status} AS status, min(us) OVER (PARTITION BY txn_id) AS s, max(us) OVER (PARTITION BY txn_id) + 1 AS e FROM op0),
 tx AS (SELECT txn_id, session_id, block AS session_pos, max(status) AS own, min(s) AS s, max(e) AS e, max(kind) AS ttype FROM op1 GROUP BY txn_id, session_id, block),
-op2 AS (SELECT *, CASE WHEN {shown} THEN event_id + 1 END AS shows, CASE WHEN kind = 'w' THEN {seen} ELSE {looks} END AS at, CASE WHEN kind = 'w' THEN 0 ELSE 1 END AS later FROM op1),
-op3 AS (SELECT *, {d["last"].format("shows")} OVER (PARTITION BY obj ORDER BY at, {"later, txn_id" if level != "serial" else "txn_id, later"}, op_seq ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS sees FROM op2),
+op2 AS (SELECT *, CASE WHEN {shown} THEN event_id + 1 END AS shows, CASE WHEN kind = 'w' THEN {seen} ELSE {looks} END AS tm, CASE WHEN kind = 'w' THEN 0 ELSE 1 END AS later FROM op1),
+op3 AS (SELECT *, {d["last"].format("shows")} OVER (PARTITION BY obj ORDER BY tm, {"later, txn_id" if level != "serial" else "txn_id, later"}, op_seq ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS sees FROM op2),
 txns AS (SELECT cast(txn_id AS bigint) AS txn_id, cast(session_id AS int) AS session_id, cast(session_pos AS int) AS session_pos, CASE WHEN ttype = 'w' THEN own ELSE 'c' END AS status, s, e, ttype
   FROM (SELECT txn_id, session_id, session_pos, min(own) AS own, min(s) AS s, max(e) AS e, max(ttype) AS ttype FROM tx GROUP BY txn_id, session_id, session_pos) q),
 ops AS (SELECT cast(txn_id AS bigint) AS txn_id, cast(op_seq AS int) AS op_seq, kind, obj, cast(CASE WHEN kind = 'w' THEN event_id + 1 ELSE coalesce(sees, 0) END AS bigint) AS ver, us AS op_s, us + 1 AS op_e FROM op3)"""
