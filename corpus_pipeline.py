@@ -6,10 +6,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderproof.llm import line_dedup, ngram_join, packing, secrets, toxicity
-from orderproof.llm.common import staged
+from orderproof.llm.common import scratch_path, stage_of_pipeline
 
 
 
+@stage_of_pipeline
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose toxicity score is below the contract's threshold; null and empty texts stay."""
     model = toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
@@ -17,21 +18,25 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     return scored.filter("__score < 0.3").select(*docs.columns)
 
 
+@stage_of_pipeline
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, without lines that are alike an earlier one."""
     return line_dedup.drop_lines(docs)
 
 
+@stage_of_pipeline
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates (five words, similarity 0.8): the one with the smallest doc_id."""
     return ngram_join.first_of_each(docs)
 
 
+@stage_of_pipeline
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with secrets masked in their texts."""
     return secrets.redact(docs, secrets.default_model(docs), count_col="n_chars")
 
 
+@stage_of_pipeline
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents' ids as pieces of sequences."""
     return packing.pack(docs, packing.byte_bpe_50k)
@@ -51,5 +56,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = staged(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        path = scratch_path(spark, name.replace(" ", "-"))
+        stage(spark, docs, sf_dir).write.parquet(path)
+        docs = spark.read.parquet(path)
     return STAGES[-1][1](spark, docs, sf_dir)

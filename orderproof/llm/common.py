@@ -7,6 +7,7 @@ import contextlib
 import gc
 import tempfile
 import uuid
+from functools import wraps
 
 import numpy as np
 import pyarrow as pa
@@ -50,11 +51,40 @@ def staged(df: DataFrame, name: str, partition_by: list[str] | None = None) -> D
     w = df.write.mode("overwrite")
     (w.partitionBy(*partition_by) if partition_by else w).parquet(path)
     swept(spark)
+    if _tables is not None:
+        _tables.append(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch = path
     return out
 
 
+#: Rows of a small table, of a few numbers each, up to which it is broadcast; beyond, the join shuffles.
+BROADCAST_ROWS = 1_000_000
+
+
+def small(df: DataFrame) -> DataFrame:
+    """df, marked for broadcast if its rows, which are counted, are few. For staged tables of a few numbers a row."""
+    return F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
+
+
+_tables: list[str] | None = None
+
+
+def stage_of_pipeline(f):
+    """A stage whose scratch tables go when the next stage begins: by then its result has been written and read again."""
+
+    @wraps(f)
+    def run(spark, docs, sf_dir):
+        global _tables
+        for path in _tables or []:
+            _delete(spark, path)
+        swept(spark)
+        _tables = []
+        return f(spark, docs, sf_dir)
+
+    return run
+
+
 def swept(spark: SparkSession) -> None:
     """Lets Spark delete the shuffle files of finished jobs now; it does so when the driver collects their handles as garbage."""
     gc.collect()

@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import mix64, released, staged, text_slices, word_hashes, words_of
+from orderproof.llm.common import mix64, released, small, staged, text_slices, word_hashes, words_of
 
 COUNT_BITS = 16
 U = np.uint64
@@ -147,20 +147,22 @@ def mark(docs: DataFrame, percent: int = 80, least: int = 3, id_col: str = "doc_
         """Nodes b of candidate pairs (a before b) that are alike."""
         pairs = staged(pairs.distinct(), "candidates")
         used = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "row", "number"), "node")
+        used = staged(used, "used")
         by_doc = used.groupBy("row").agg(F.collect_list("node").alias("nodes"), F.collect_list("number").alias("numbers"))
-        own = texts.join(by_doc, "row").select("nodes", "numbers", "text")
+        by_doc = staged(by_doc, "by-doc")
+        own = texts.join(small(by_doc), "row").select("nodes", "numbers", "text")
         words = staged(own.mapInArrow(_words, "node long, words array<long>"), "words")
         side = lambda k: words.select(F.col("node").alias(k), F.col("words").alias(f"w{k}"))
         met = pairs.join(side("b"), "b").join(side("a"), "a").withColumn("common", F.size(F.array_intersect("wa", "wb")))
         alike = 100 * F.col("common") >= percent * (F.size("wa") + F.size("wb") - F.col("common"))
         out = staged(met.filter(alike).select(F.col("b").alias("node")).distinct(), "alike")
-        released(pairs, words)
+        released(pairs, words, used, by_doc)
         return out
 
     posting = lambda k, rows: rows.select("word", F.col("node").alias(k), F.col("n").alias(f"n{k}"), F.col("pos").alias(f"p{k}"), F.col("sketch").alias(f"s{k}"))
     rest, low, every = posting("b", shared.filter("node != low")), posting("a", shared.filter("node = low")), posting("a", shared.filter("node != low"))
     gone = found(rest.join(low, "word").filter(allowed()).select("a", "b"))
-    open_ = rest.join(gone.withColumnRenamed("node", "b"), "b", "left_anti")
+    open_ = rest.join(small(gone).withColumnRenamed("node", "b"), "b", "left_anti")
     gone = gone.union(found(open_.join(every, "word").filter("a < b").filter(allowed()).select("a", "b")))
     released(shared)
     # a node that goes loses all its lines; of the others every line but the first goes

@@ -15,7 +15,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import components, mix64, released, staged, text_slices, word_hashes, words_of
+from orderproof.llm.common import components, mix64, released, small, staged, text_slices, word_hashes, words_of
 
 SKETCH_WORDS = 16  # of 64 bits
 U = np.uint64
@@ -189,14 +189,14 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
         met = pairs.join(side("b"), "b").join(side("a"), "a")
         close = staged(met.filter(near()).select("a", "b", "na", "nb"), "close")
         used = close.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-        wanted = same.join(used, "node")
-        own = texts.join(wanted, F.col("id").eqNullSafe(F.col("first"))).select("node", "hi", "lo", "text")
+        wanted = staged(same.join(used, "node"), "wanted")
+        own = texts.join(small(wanted), F.col("id").eqNullSafe(F.col("first"))).select("node", "hi", "lo", "text")
         grams = own.mapInArrow(_exact(n), "node long, grams array<long>").dropDuplicates(["node"])
         grams = staged(grams, "grams")
         met = close.join(grams.select(F.col("node").alias("b"), F.col("grams").alias("gb")), "b").join(grams.select(F.col("node").alias("a"), F.col("grams").alias("ga")), "a")
         met = met.withColumn("common", F.size(F.array_intersect("ga", "gb")))
         links = staged(met.filter(100 * F.col("common") >= percent * (F.col("na") + F.col("nb") - F.col("common"))).select("a", "b"), "links")
-        released(close, grams)
+        released(close, grams, wanted)
         return links
 
     edges = verified(pairs)
