@@ -48,7 +48,7 @@ def staged(df: DataFrame, name: str, partition_by: list[str] | None = None) -> D
     """df written as Parquet to the shared folder and read again: lineage is cut and losses of executors don't recompute it."""
     spark = df.sparkSession
     path = scratch_path(spark, name)
-    w = df.write.mode("overwrite")
+    w = df.write.mode("overwrite").option("compression", "zstd")
     (w.partitionBy(*partition_by) if partition_by else w).parquet(path)
     swept(spark)
     if _tables is not None:
@@ -91,10 +91,10 @@ def swept(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def released(*tables: DataFrame) -> None:
-    """Deletes staged tables that nothing reads any more."""
+def released(*tables: DataFrame, below: str = "") -> None:
+    """Deletes staged tables, or the folder `below` in them, that nothing reads any more."""
     for t in tables:
-        _delete(t.sparkSession, t._scratch)
+        _delete(t.sparkSession, f"{t._scratch}/{below}".rstrip("/"))
 
 
 def plan_bytes(df: DataFrame) -> int:

@@ -9,6 +9,7 @@ word's backoff weight sums over its distinct continuations, each of which one se
 from __future__ import annotations
 
 import math
+import zlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -22,6 +23,7 @@ from orderproof.llm.common import mix64, plan_bytes, released, staged, text_slic
 U = np.uint64
 BOS, END = U(0x1D8E4E27C47D124F), U(0xE29AD4B97F2E0C35)
 SEGMENT_TOKENS = 4_000_000
+WAVES = 4
 LOW = 48  # bits of a key that are stored; its bucket holds the others
 ROW = "kind string, seg long, bucket int, id long, held boolean, a binary, b binary"
 NAMES = [x.split()[0] for x in ROW.split(", ")]
@@ -87,7 +89,7 @@ def _segments(bits: int, tokens: int):
                 rows.append((kind, seg, int(bucket[a]), None, None, _packed(keys[a:b]), count[a:b].astype("<u4").tobytes()))
         end = 0
         for i, x, n in zip(np.concatenate(ids).tolist(), held.tolist(), s.size.tolist(), strict=True):
-            rows.append(("d", seg, None, i[0], x, s.word[end : end + n].astype("<u4").tobytes(), None))
+            rows.append(("d", seg, None, i[0], x, zlib.compress(s.word[end : end + n].astype("<u4").tobytes(), 1), None))
             end += n
         for a in range(0, len(rows), 4096):
             yield from _table(rows[a : a + 4096]).to_batches()
@@ -204,7 +206,7 @@ def _bigrams_of(at, a, kinds, buckets, bits):
     """Segment and bigrams, made again from what was written down."""
     parts = sorted((buckets[i], i) for i, k in enumerate(kinds) if k == "w")
     vocabulary = np.concatenate([_unpacked(a[i], bucket) for bucket, i in parts])
-    word = [np.frombuffer(a[i], "<u4").astype(np.int64) for i in at]
+    word = [np.frombuffer(zlib.decompress(a[i]), "<u4").astype(np.int64) for i in at]
     s = Segment(np.array([len(w) for w in word], np.int64), np.concatenate(word), vocabulary)
     return s, s.bigrams(bits)
 
@@ -218,10 +220,17 @@ def scores(docs: DataFrame, held_out: Column, k: int = 5, id_col: str = "doc_id"
     """
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(held_out, F.lit(False)).alias("held"), F.col(text_col).alias("text"))
     bits = bucket_bits or min(16, max(8, math.ceil(math.log2(max(1, plan_bytes(docs)) / (8 << 20)))))
-    seg = staged(texts.mapInArrow(_segments(bits, segment_tokens), ROW), "segments", ["kind"]).select(*NAMES)
+    table = staged(texts.mapInArrow(_segments(bits, segment_tokens), ROW), "segments", ["kind"])
+    seg = table.select(*NAMES)
     of = lambda *kinds: seg.filter(F.col("kind").isin(*kinds))
     words = staged(of("w").groupBy("bucket").applyInArrow(_count("w", k), ROW), "words", ["kind"]).select(*NAMES)
-    grams = staged(of("g").groupBy("bucket").applyInArrow(_count("g", k), ROW), "bigrams", ["kind"]).select(*NAMES)
+    # in waves, so that only a part of the keys is being dealt at a time
+    grams = None
+    for wave in range(WAVES):
+        some = of("g").filter(F.col("bucket") % WAVES == wave).groupBy("bucket").applyInArrow(_count("g", k), ROW)
+        some = staged(some, "bigrams", ["kind"]).select(*NAMES)
+        grams = some if grams is None else grams.unionAll(some)
+    released(table, below="kind=g")
     n1, tokens, known = _totals(words.filter("kind = 'stat'"), k)
     n2, _, _ = _totals(grams.filter("kind = 'stat'"), k)
     d1, d2 = (np.array([*discounts(n.tolist(), k), 1.0]) for n in (n1, n2))
