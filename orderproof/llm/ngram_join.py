@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 from orderproof.llm.common import components, mix64, released, small, staged, text_slices, word_hashes, words_of
 
 SKETCH_WORDS = 16  # of 64 bits
+WAVES = 4
 U = np.uint64
 
 
@@ -173,10 +174,13 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
     full = rows.filter("n > 0")
     same = full.groupBy("hi", "lo").agg(F.min("uid").alias("node"), F.min("id").alias("first"))
     same = staged(same, "same")
-    nodes = full.select(F.col("uid").alias("node"), "n", "keys", "sketch").join(same.select("node"), "node", "left_semi")
-    keyed = nodes.select("node", F.explode("keys").alias("key"))
-    several = keyed.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).filter("low != high").select("key", "low")
-    shared = staged(keyed.join(several, "key").distinct(), "shared")
+    nodes = full.select(F.col("uid").alias("node"), "n", "keys", "sketch").join(small(same.select("node")), "node", "left_semi")
+    shared = None
+    for wave in range(WAVES):  # a part of the keys is dealt at a time
+        keyed = nodes.select("node", F.explode("keys").alias("key")).filter(F.pmod("key", F.lit(WAVES)) == wave)
+        several = keyed.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).filter("low != high").select("key", "low")
+        some = staged(keyed.join(several, "key").distinct(), "shared")
+        shared = some if shared is None else shared.unionAll(some)
     pairs = staged(shared.filter("node != low").select(F.col("node").alias("b"), F.col("low").alias("a")).distinct(), "pairs")
     light = full.select(F.col("uid").alias("node"), "n", "sketch")
 
