@@ -53,3 +53,15 @@ def widened(h: History, latency_us: int = 0, skew_us: int = 0) -> History:
     """Client intervals widened by network latency and by a bound on clock skew."""
     pad = latency_us + skew_us
     return h.but(txns=h.txns.withColumn("s", F.col("s") - pad).withColumn("e", F.col("e") + pad))
+
+
+def predicate_rows(spark: SparkSession, sf_dir: str) -> History:
+    views(spark, sf_dir, "events")
+    ctes = texts.predicate_rows("spark")
+    get = lambda what, table: spark.sql(f"WITH {ctes} SELECT {what} FROM {table}")
+    return History(
+        get("txn_id, session_id, session_pos, status, s, e, ttype", "txns"),
+        get("txn_id, op_seq, kind, obj, ver, pred_id, cast(null AS bigint) AS op_s, cast(null AS bigint) AS op_e", "ops"),
+        get("obj, ver, txn_id, v1, v2, deleted", "vers"),
+        get("pred_id, domain, col, lo, hi", "prs"),
+    )

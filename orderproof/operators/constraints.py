@@ -66,7 +66,7 @@ def predicate(h: History) -> DataFrame:
     unknown = prelim.unknown_theta_reads(h).select(F.col("txn_id").alias("reader"), "pred_id", "obj")
     cid = F.concat_ws("/", F.col("reader"), F.col("pred_id"), F.col("obj")).alias("cid")
     false = unknown.join(w.filter("NOT holds").select("obj", "pred_id", F.col("txn_id").alias("cand")), ["obj", "pred_id"]).filter("cand <> reader")
-    true = w.filter("holds").select("obj", "pred_id", F.col("txn_id").alias("m"))
+    true = w.filter(F.col("holds") & (F.col("txn_id") != INITIAL)).select("obj", "pred_id", F.col("txn_id").alias("m"))
     none = F.lit(None).cast("long")
     known = false.select(cid, "reader", "obj", "cand", F.col("cand").alias("src"), F.col("reader").alias("dst"), none.alias("via_src"), none.alias("via_dst"))
     open_ = false.join(true, ["obj", "pred_id"]).filter("m <> cand").select(cid, "reader", "obj", "cand", F.col("reader").alias("src"), F.col("m").alias("dst"), F.col("cand").alias("via_src"), F.col("m").alias("via_dst"))
