@@ -24,7 +24,7 @@ U = np.uint64
 BOS, END = U(0x1D8E4E27C47D124F), U(0xE29AD4B97F2E0C35)
 SEGMENT_TOKENS = 4_000_000
 WAVES = 4
-LOW = 48  # bits of a key that are stored; its bucket holds the others
+LOW = 48  # bits of a key besides its bucket
 ROW = "kind string, seg long, bucket int, id long, held boolean, a binary, b binary"
 NAMES = [x.split()[0] for x in ROW.split(", ")]
 OWNED = np.uint32(1 << 31)
@@ -37,14 +37,19 @@ def _table(rows: list[tuple]) -> pa.Table:
 
 
 def _packed(key: np.ndarray) -> bytes:
-    return np.ascontiguousarray(key.astype("<u8").view(np.uint8).reshape(-1, 8)[:, : LOW // 8]).tobytes()
+    """Sorted keys of one bucket as differences of their low bits, in as few bytes each as the largest takes (told first)."""
+    low = key & U((1 << LOW) - 1)
+    gap = np.diff(low, prepend=U(0))
+    width = max(1, (int(gap.max(initial=0)).bit_length() + 7) // 8)
+    return bytes([width]) + np.ascontiguousarray(gap.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width]).tobytes()
 
 
 def _unpacked(raw: bytes, bucket: int) -> np.ndarray:
-    low = np.frombuffer(raw, np.uint8).reshape(-1, LOW // 8)
+    width = raw[0]
+    low = np.frombuffer(raw, np.uint8, offset=1).reshape(-1, width)
     out = np.zeros((len(low), 8), np.uint8)
-    out[:, : LOW // 8] = low
-    return out.view("<u8").ravel().astype(U) | U(bucket) << U(LOW)
+    out[:, :width] = low
+    return np.cumsum(out.view("<u8").ravel().astype(U), dtype=U) | U(bucket) << U(LOW)
 
 
 def _keys(h: np.ndarray, bits: int) -> np.ndarray:
