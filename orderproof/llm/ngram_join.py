@@ -3,8 +3,8 @@
 Every set is cut by hash into segments, and each segment keeps the parities of its hashed n-grams (their XOR). Sets that meet
 the threshold differ in at most d n-grams, so of d+1 segments one has equal parities: that is the join key, per size band (a few more segments make up for empty ones).
 The Hamming distance of whole-set sketches, which is never above the symmetric difference, then discards most pairs, and exact
-sets decide the rest. Equal sets are one node from the start. Within a bucket, first everything is compared with the smallest
-node; later only members of different components are, so a group of near copies isn't expanded into all its pairs.
+sets decide the rest. Equal sets are one node from the start. First each node is compared with the smallest one it
+shares a bucket with; later only members of different components are, so a group of near copies isn't expanded into all its pairs.
 """
 
 from __future__ import annotations
@@ -181,7 +181,8 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
         several = keyed.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).filter("low != high").select("key", "low")
         some = staged(keyed.join(several, "key").distinct(), "shared")
         shared = some if shared is None else shared.unionAll(some)
-    pairs = staged(shared.filter("node != low").select(F.col("node").alias("b"), F.col("low").alias("a")).distinct(), "pairs")
+    # one pair a node: most of a group is joined by these, and what isn't meets again below
+    pairs = staged(shared.filter("node != low").groupBy(F.col("node").alias("b")).agg(F.min("low").alias("a")), "pairs")
     light = full.select(F.col("uid").alias("node"), "n", "sketch")
 
     def near() -> Column:
