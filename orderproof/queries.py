@@ -66,25 +66,24 @@ PRED = texts.predicate_rows("duckdb")
 THETA = "th AS (SELECT p.pred_id, v.obj, v.ver, v.v1 BETWEEN p.lo AND p.hi AS holds FROM prs p, vers v)"
 UNK = """asks AS (SELECT DISTINCT txn_id, pred_id FROM ops WHERE kind = 'pr'), allr AS (SELECT a.txn_id, a.pred_id, o.obj FROM asks a, (SELECT DISTINCT obj FROM vers) o),
 tr AS (SELECT a.*, o.ver FROM allr a LEFT JOIN ops o ON o.kind = 'pr' AND o.txn_id = a.txn_id AND o.pred_id = a.pred_id AND o.obj = a.obj)"""
-FIRST_N = 40
-FEW = f"few AS (SELECT txn_id FROM txns ORDER BY s, txn_id LIMIT {FIRST_N}), unk AS (SELECT tr.txn_id AS reader, pred_id, obj FROM tr WHERE ver IS NULL AND txn_id IN (SELECT txn_id FROM few))"
-CAND = """wr AS (SELECT i.obj, th.pred_id, i.txn_id, th.holds FROM inst i JOIN th ON th.obj = i.obj AND th.ver = i.ver WHERE i.txn_id IN (SELECT txn_id FROM few) UNION ALL SELECT obj, pred_id, 0, holds FROM th WHERE ver = 0),
+CAND = """unk AS (SELECT tr.txn_id AS reader, pred_id, obj FROM tr WHERE ver IS NULL),
+wr AS (SELECT i.obj, th.pred_id, i.txn_id, th.holds FROM inst i JOIN th ON th.obj = i.obj AND th.ver = i.ver UNION ALL SELECT obj, pred_id, 0, holds FROM th WHERE ver = 0),
 fa AS (SELECT u.reader, u.pred_id, u.obj, w.txn_id AS cand FROM unk u JOIN wr w ON w.obj = u.obj AND w.pred_id = u.pred_id AND NOT w.holds WHERE w.txn_id <> u.reader),
 cd AS (SELECT reader, obj, cand, cand AS src, reader AS dst, cast(NULL AS bigint) AS via_src, cast(NULL AS bigint) AS via_dst, pred_id FROM fa
   UNION ALL SELECT f.reader, f.obj, f.cand, f.reader, w.txn_id, f.cand, w.txn_id, f.pred_id FROM fa f JOIN wr w ON w.obj = f.obj AND w.pred_id = f.pred_id AND w.holds WHERE w.txn_id <> f.cand AND w.txn_id <> 0)"""
 
 
 def _pred(name: str, run, select: str) -> None:
-    _add(name, lambda spark, d: run(build.predicate_rows(spark, d)), f"WITH {PRED}, {BASE}, {THETA}, {UNK}, {FEW}, {CAND}\n{select}")
+    _add(name, lambda spark, d: run(build.predicate_rows(spark, d)), f"WITH {PRED}, {BASE}, {THETA}, {UNK}, {CAND}\n{select}")
 
 
 _pred("pred_ops", lambda h: h.ops.select("txn_id", "op_seq", "kind", "obj", "ver", "pred_id"), "SELECT txn_id, op_seq, kind, obj, ver, pred_id FROM ops")
 _pred("theta_truth", prelim.theta, "SELECT * FROM th")
 _pred("theta_reads_expanded", lambda h: prelim.theta_reads(h).select("txn_id", "pred_id", "obj", "ver"), "SELECT txn_id, pred_id, obj, ver FROM tr")
 _pred("unknown_theta_reads", lambda h: prelim.unknown_theta_reads(h).select("txn_id", "pred_id", "obj"), "SELECT txn_id, pred_id, obj FROM tr WHERE ver IS NULL")
-_pred("pred_candidates", lambda h: cs.predicate(build.prefix(h, FIRST_N)).filter("via_src IS NULL").select("reader", "obj", "cand", "src", "dst"), "SELECT reader, obj, cand, src, dst FROM cd WHERE via_src IS NULL")
-_pred("pred_undetermined", lambda h: cs.predicate(build.prefix(h, FIRST_N)).filter("via_src IS NOT NULL").select("reader", "obj", "cand", "dst", "via_src"), "SELECT reader, obj, cand, dst, via_src FROM cd WHERE via_src IS NOT NULL")
-_pred("verdict_serial_predicates", lambda h: verify.timed(build.prefix(h, FIRST_N)).select("serializable"), "SELECT true AS serializable")
+_pred("pred_candidates", lambda h: cs.predicate(h).filter("via_src IS NULL").select("reader", "obj", "cand", "src", "dst"), "SELECT reader, obj, cand, src, dst FROM cd WHERE via_src IS NULL")
+_pred("pred_undetermined", lambda h: cs.predicate(h).filter("via_src IS NOT NULL").select("reader", "obj", "cand", "dst", "via_src"), "SELECT reader, obj, cand, dst, via_src FROM cd WHERE via_src IS NOT NULL")
+_pred("verdict_serial_predicates", lambda h: verify.timed(h).select("serializable"), "SELECT true AS serializable")
 
 # -- dependencies
 ORDER = "vo AS (SELECT obj, ver, txn_id, row_number() OVER (PARTITION BY obj ORDER BY e, txn_id) AS pos FROM inst)"
@@ -180,11 +179,11 @@ _add("detection_cube", lambda spark, d: measures.detection_cube(spark), measures
 _con("protocol_overlapping_writes", protocol.overlapping_updates, "SELECT obj, i, j FROM pr")
 _con("protocol_verdict", lambda h: protocol.verify(h), "SELECT CASE WHEN count(*) > 0 THEN 'reject' ELSE 'accept' END AS verdict, count(*) AS flagged FROM pr")
 _add("protocol_abstains", lambda spark, d: protocol.verify(fixtures.get(spark, "lost_update")[0]).select("verdict"), "SELECT 'abstain' AS verdict")
-_add("polygraph_verdict_small", lambda spark, d: polygraph.verify(build.prefix(build.registers(spark, d, "wr"), 60)).select("serializable"), "SELECT true AS serializable")
+_add("polygraph_verdict_small", lambda spark, d: polygraph.verify(build.registers(spark, d, "wr")).select("serializable"), "SELECT true AS serializable")
 
 # -- measures
 _add("constraint_reduction", lambda spark, d: measures.constraint_reduction(spark, d))
-_add("closure_costs", lambda spark, d: measures.closure_costs(build.prefix(build.registers(spark, d, "wr"), 150)))
+_add("closure_costs", lambda spark, d: measures.closure_costs(build.registers(spark, d, "wr")))
 
 # -- streams
 _add("stream_window_reads", live.window_reads, live.WINDOW_SQL)
