@@ -21,7 +21,7 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 @stage_of_pipeline
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, without lines that are alike an earlier one."""
-    return line_dedup.drop_lines(docs)
+    return line_dedup.drop_lines(docs, least=1)
 
 
 @stage_of_pipeline

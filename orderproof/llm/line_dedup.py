@@ -194,7 +194,7 @@ def drop_lines(docs: DataFrame, percent: int = 80, least: int = 3, id_col: str =
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per document: its lines, those that went, and the digest of what stays."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    kept = drop_lines(docs.withColumn("before", F.size(F.split(F.coalesce("text", F.lit("")), "\n", -1)).cast("long")), count_col=None)
+    kept = drop_lines(docs.withColumn("before", F.size(F.split(F.coalesce("text", F.lit("")), "\n", -1)).cast("long")), least=1, count_col=None)
     return kept.select(
         "doc_id", F.col("before").alias("n_lines"), F.char_length(F.coalesce("text", F.lit(""))).cast("long").alias("n_chars_kept"),
         F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"),
