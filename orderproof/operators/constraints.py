@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from orderproof.operators import prelim
@@ -54,16 +55,18 @@ def coalesced(sets: DataFrame) -> DataFrame:
     return sets.select(F.concat_ws("-", "i", "j").alias("cid"), "i", "j", "side", "src", "dst").distinct()
 
 
-def predicate(h: History) -> DataFrame:
+def predicate(h: History, unknown: DataFrame | None = None) -> DataFrame:
     """(cid, reader, obj, cand, src, dst, via_src, via_dst): one constraint for each predicate read that skipped an unknown version
     of an object. A candidate is a writer of a version that doesn't match (0: the initial one), which comes before the reader;
     the reader comes before each writer of a matching version that overwrote the candidate's (via: only if that is so).
+    unknown: the reads to take, as unmet() gives them; all of them by default.
     """
     t = prelim.theta(h)
     w = prelim.installed(h).join(t, ["obj", "ver"]).select("obj", "pred_id", "txn_id", "holds")
     initial = t.filter(F.col("ver") == INITIAL).select("obj", "pred_id", F.lit(INITIAL).cast("long").alias("txn_id"), "holds")
     w = w.unionByName(initial)
-    unknown = prelim.unknown_theta_reads(h).select(F.col("txn_id").alias("reader"), "pred_id", "obj")
+    unknown = prelim.unknown_theta_reads(h) if unknown is None else unknown
+    unknown = unknown.select(F.col("txn_id").alias("reader"), "pred_id", "obj")
     cid = F.concat_ws("/", F.col("reader"), F.col("pred_id"), F.col("obj")).alias("cid")
     false = unknown.join(w.filter("NOT holds").select("obj", "pred_id", F.col("txn_id").alias("cand")), ["obj", "pred_id"]).filter("cand <> reader")
     true = w.filter(F.col("holds") & (F.col("txn_id") != INITIAL)).select("obj", "pred_id", F.col("txn_id").alias("m"))
@@ -73,24 +76,56 @@ def predicate(h: History) -> DataFrame:
     return known.unionAll(open_)
 
 
-def empty_domains(h: History, candidates: DataFrame) -> DataFrame:
+def unmet(h: History) -> DataFrame:
+    """Unknown predicate reads that client times alone don't meet, as prelim.unknown_theta_reads(h) gives them.
+
+    A read is met by a candidate that ended before it if no match that began before the read's end also ended after the candidate's
+    start. Of several the one that started last is the best, so two running maxima per object and predicate tell.
+    """
+    t = prelim.theta(h)
+    w = prelim.installed(h).join(t, ["obj", "ver"]).select("obj", "pred_id", "s", "e", "holds")
+    initial = t.filter((F.col("ver") == INITIAL) & ~F.col("holds")).select("obj", "pred_id").distinct()
+    true = w.filter("holds")
+    easy = initial.join(true.select("obj", "pred_id").distinct(), ["obj", "pred_id"], "left_anti")  # nothing ever matched
+    asked = prelim.unknown_theta_reads(h).select("txn_id", "pred_id", "obj", "s", "e").join(easy, ["obj", "pred_id"], "left_anti")
+
+    def upto(reads: DataFrame, x: str, first: int, points: DataFrame, name: str) -> DataFrame:
+        """reads with the largest value of the points (obj, pred_id, x, v) at x or before; strictly before if first is 0."""
+        rows = reads.withColumn("x", F.col(x)).withColumn("o", F.lit(first)).withColumn("v", F.lit(None).cast("long"))
+        rows = rows.unionByName(points.withColumn("o", F.lit(1 - first)), allowMissingColumns=True)
+        before = W.partitionBy("obj", "pred_id").orderBy("x", "o").rowsBetween(W.unboundedPreceding, 0)
+        return rows.withColumn(name, F.max("v").over(before)).filter("txn_id IS NOT NULL").drop("x", "o", "v")
+
+    never = F.lit(-(1 << 62)).cast("long")
+    false = w.filter("NOT holds").select("obj", "pred_id", F.col("e").alias("x"), F.col("s").alias("v")).unionByName(initial.select("obj", "pred_id", never.alias("x"), never.alias("v")))
+    out = upto(asked, "s", 1, false, "best")
+    out = upto(out, "e", 0, true.select("obj", "pred_id", F.col("s").alias("x"), F.col("e").alias("v")), "worst")
+    met = F.col("best").isNotNull() & (F.col("worst").isNull() | (F.col("worst") <= F.col("best")))
+    return out.filter(~met).select("txn_id", "pred_id", "obj", "s", "e")
+
+
+def empty_domains(h: History, candidates: DataFrame, unknown: DataFrame | None = None) -> DataFrame:
     """Unknown reads of objects of which no version fails the predicate: the history can't be serialised."""
-    unknown = prelim.unknown_theta_reads(h)
+    unknown = prelim.unknown_theta_reads(h) if unknown is None else unknown
     cid = F.concat_ws("/", F.col("txn_id"), F.col("pred_id"), F.col("obj"))
     return unknown.withColumn("cid", cid).join(candidates.select("cid").distinct(), "cid", "left_anti")
 
 
 def avoided(h: History, candidates: DataFrame) -> DataFrame:
     """Candidates after client times: one whose read edge time contradicts goes with all its edges; an open edge goes where time
-    implies it or contradicts its via pair; where a candidate has nothing left the constraint is met, and goes as a whole."""
+    implies it or contradicts its via pair; where a candidate has nothing left the constraint is met, and goes as a whole. Where time
+    contradicts every candidate the read edges stay, for no order meets the constraint."""
     t = prelim.committed(h).select("txn_id", "s", "e").unionAll(h.txns.sparkSession.createDataFrame([(INITIAL, -(1 << 62) - 1, -(1 << 62))], "txn_id long, s long, e long"))
     side = lambda c: t.select(F.col("txn_id").alias(c), F.col("s").alias(f"{c}_s"), F.col("e").alias(f"{c}_e"))
     x = candidates.join(side("src"), "src").join(side("dst"), "dst").join(side("via_src"), "via_src", "left").join(side("via_dst"), "via_dst", "left")
     implied, against = F.col("src_e") <= F.col("dst_s"), F.col("dst_e") <= F.col("src_s")
     x = x.withColumn("gone", F.col("via_src").isNull() & against).withColumn("moot", F.when(F.col("via_src").isNull(), implied).otherwise(implied | F.coalesce(F.col("via_dst_e") <= F.col("via_src_s"), F.lit(False))))
-    left = x.groupBy("cid", "cand").agg(F.max("gone").alias("out"), F.min("moot").alias("free")).filter("NOT out")
+    each = x.groupBy("cid", "cand").agg(F.max("gone").alias("out"), F.min("moot").alias("free"))
+    none = each.groupBy("cid").agg(F.min("out").alias("none")).filter("none").select("cid")
+    left = each.filter("NOT out")
     met = left.groupBy("cid").agg(F.max("free").alias("met")).filter("NOT met").select("cid")
-    return x.filter("NOT moot").join(left.filter("NOT free").select("cid", "cand"), ["cid", "cand"], "left_semi").join(met, "cid", "left_semi").select(*candidates.columns)
+    kept = x.filter("NOT moot").join(left.filter("NOT free").select("cid", "cand"), ["cid", "cand"], "left_semi").join(met, "cid", "left_semi")
+    return kept.select(*candidates.columns).unionByName(candidates.filter("via_src IS NULL").join(none, "cid", "left_semi").select(*candidates.columns))
 
 
 def search_space(pairs: DataFrame) -> DataFrame:

@@ -24,14 +24,18 @@ def constraint_rows(h: History, timed: bool, predicates: bool) -> DataFrame:
     none = F.lit(None).cast("long")
     out = sets.select("cid", F.col("side").cast("string").alias("opt"), "src", "dst", none.alias("via_src"), none.alias("via_dst"))
     if predicates and h.preds is not None:
-        p = cs.predicate(h)
+        unknown = written(cs.unmet(h) if timed else prelim.unknown_theta_reads(h))
+        p = every = cs.predicate(h, unknown)
+        if timed:
+            every = written(every)
+            p = cs.avoided(h, every)
         first = F.col("via_src") == INITIAL  # the initial version is overwritten by every other one
         keep = F.col("src") != INITIAL
         p = p.select(
             "cid", F.col("cand").cast("string").alias("opt"), F.when(keep, F.col("src")).alias("src"), F.when(keep, F.col("dst")).alias("dst"),
             F.when(~first, F.col("via_src")).alias("via_src"), F.when(~first, F.col("via_dst")).alias("via_dst"),
         )
-        empty = cs.empty_domains(h, cs.predicate(h)).select("cid", F.lit("none").alias("opt"), F.col("txn_id").alias("src"), F.col("txn_id").alias("dst"), none.alias("via_src"), none.alias("via_dst"))
+        empty = cs.empty_domains(h, every, unknown).select("cid", F.lit("none").alias("opt"), F.col("txn_id").alias("src"), F.col("txn_id").alias("dst"), none.alias("via_src"), none.alias("via_dst"))
         out = out.unionByName(p.distinct()).unionByName(empty)
     return out
 

@@ -83,6 +83,7 @@ _pred("theta_reads_expanded", lambda h: prelim.theta_reads(h).select("txn_id", "
 _pred("unknown_theta_reads", lambda h: prelim.unknown_theta_reads(h).select("txn_id", "pred_id", "obj"), "SELECT txn_id, pred_id, obj FROM tr WHERE ver IS NULL")
 _pred("pred_candidates", lambda h: cs.predicate(h).filter("via_src IS NULL").select("reader", "obj", "cand", "src", "dst"), "SELECT reader, obj, cand, src, dst FROM cd WHERE via_src IS NULL")
 _pred("pred_undetermined", lambda h: cs.predicate(h).filter("via_src IS NOT NULL").select("reader", "obj", "cand", "dst", "via_src"), "SELECT reader, obj, cand, dst, via_src FROM cd WHERE via_src IS NOT NULL")
+_add("pred_avoided", lambda spark, d: _avoided(build.predicate_rows(spark, d)))
 _pred("verdict_serial_predicates", lambda h: verify.timed(h).select("serializable"), "SELECT true AS serializable")
 
 # -- dependencies
@@ -190,6 +191,11 @@ _add("stream_window_reads", live.window_reads, live.WINDOW_SQL)
 _add("stream_dedup", live.dedup, "SELECT count(*) AS n FROM events")
 
 
+def _avoided(h) -> DataFrame:
+    """What client times leave of the predicate constraints."""
+    return cs.avoided(h, cs.predicate(h, cs.unmet(h))).select("reader", "obj", "cand", "src", "dst", "via_src", "via_dst")
+
+
 def _complete(txns: list[dict], holds: dict) -> dict:
     total, good = small.exhaustive(txns, holds)
     return {"complete": total, "serializable": good}
