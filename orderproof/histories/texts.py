@@ -74,26 +74,33 @@ txns AS (SELECT txn_id, cast(session_id AS int) AS session_id, cast(session_pos
 ops AS (SELECT txn_id, cast(op_seq AS int) AS op_seq, kind, obj, cast(CASE WHEN kind = 'w' THEN event_id + 1 ELSE coalesce(sees, 0) END AS bigint) AS ver, us AS op_s, us + 1 AS op_e FROM op2)"""
 
 
-def predicate_rows(dialect: str, objects: int = 24, preds: int = 20) -> str:
-    """CTEs txns, ops, vers and prs: half the blocks of four events write rows, half read by range predicates on v1; each read
-    returns, of every row, the version that the serial order of end times shows, if it matches."""
+def predicate_rows(dialect: str) -> str:
+    """CTEs txns, ops, vers and prs: half the blocks of four events write rows of part (the first 10,000 at most, v1 its size, v2 its
+    price), half read by range predicates on v1 or v2, one for each event; each read returns, of every row, the version that the
+    serial order of end times shows, if it matches."""
     d = DIALECTS[dialect]
-    text = lambda x: f"cast({x} AS {d['str']})"
+    text = lambda x: f"concat('prow:', cast({x} AS {d['str']}))"
     return f"""
-ev AS (SELECT event_id, {d["us"].format("ts")} AS us, coalesce(value, 0) AS val, event_id % 12 AS session_id, row_number() OVER (PARTITION BY event_id % 12 ORDER BY ts, event_id) - 1 AS rk FROM events),
+rows0 AS (SELECT row_number() OVER (ORDER BY p_partkey) AS o, cast(p_size AS double) AS v1, cast(p_retailprice AS double) AS v2 FROM part),
+objs AS (SELECT * FROM rows0 WHERE o <= {ROWS}),
+np AS (SELECT count(*) AS n FROM objs),
+ev AS (SELECT event_id, {d["us"].format("ts")} AS us, cast(floor(abs(coalesce(value, 0))) AS bigint) AS val, (event_id * 7919 + {d["k"]} * 104729) % np.n + 1 AS o, event_id % 12 AS session_id,
+         row_number() OVER (PARTITION BY event_id % 12 ORDER BY ts, event_id) - 1 AS rk FROM events, np),
 op0 AS (SELECT *, session_id * 1000000 + cast(floor((rk + session_id) / 4.0) AS bigint) + 1 AS txn_id, cast(floor((rk + session_id) / 4.0) AS bigint) AS block FROM ev),
 op1 AS (SELECT *, CASE WHEN (block * 7 + session_id) % 10 < 5 THEN 'w' ELSE 'pr' END AS kind, min(us) OVER (PARTITION BY txn_id) AS s, max(us) OVER (PARTITION BY txn_id) + 1 AS e,
-         row_number() OVER (PARTITION BY txn_id ORDER BY us, event_id) AS op_seq FROM op0),
-objs AS (SELECT DISTINCT event_id % {objects} AS o FROM ev),
-prs AS (SELECT DISTINCT cast(event_id % {preds} AS int) AS pred_id, 'prow' AS domain, 'v1' AS col, cast((event_id % {preds}) * 25 AS double) AS lo, cast((event_id % {preds}) * 25 + 50 AS double) AS hi FROM ev),
-vers AS (SELECT concat('prow:', {text("o")}) AS obj, cast(0 AS bigint) AS ver, cast(0 AS bigint) AS txn_id, cast(o * 10 AS double) AS v1, cast(NULL AS double) AS v2, false AS deleted FROM objs
-  UNION ALL SELECT concat('prow:', {text(f"event_id % {objects}")}), event_id + 1, txn_id, cast(val AS double), cast(NULL AS double), false FROM op1 WHERE kind = 'w'),
-asked AS (SELECT DISTINCT txn_id, s, e, cast(event_id % {preds} AS int) AS pred_id FROM op1 WHERE kind = 'pr'),
-points AS (SELECT txn_id, e, op_seq, concat('prow:', {text(f"event_id % {objects}")}) AS obj, event_id + 1 AS shows, cast(NULL AS int) AS pred_id FROM op1 WHERE kind = 'w'
-  UNION ALL SELECT txn_id, e, 0, concat('prow:', {text("o")}), NULL, pred_id FROM asked, objs),
-seen AS (SELECT *, coalesce({d["last"].format("shows")} OVER (PARTITION BY obj ORDER BY e, txn_id, op_seq ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 0) AS sees FROM points),
-hits AS (SELECT seen.txn_id, seen.pred_id, seen.obj, seen.sees FROM seen JOIN prs ON prs.pred_id = seen.pred_id JOIN vers ON vers.obj = seen.obj AND vers.ver = seen.sees WHERE vers.v1 BETWEEN prs.lo AND prs.hi),
+         row_number() OVER (PARTITION BY txn_id ORDER BY us, event_id) AS op_seq,
+         1 + (event_id * 31 + val) % 50 AS a1, 900 + (event_id * 7919 + val) % 1200 AS a2, cast(floor(event_id / 12.0) AS bigint) % 2 AS which FROM op0),
+asked AS (SELECT txn_id, e, cast(event_id AS int) AS pred_id, CASE WHEN which = 0 THEN 'v1' ELSE 'v2' END AS col, cast(CASE WHEN which = 0 THEN a1 ELSE a2 END AS double) AS lo,
+         cast(CASE WHEN which = 0 THEN a1 + a2 % 6 ELSE a2 + a1 * 2 END AS double) AS hi FROM op1 WHERE kind = 'pr'),
+prs AS (SELECT pred_id, 'prow' AS domain, col, lo, hi FROM asked),
+vers AS (SELECT {text("o")} AS obj, cast(0 AS bigint) AS ver, cast(0 AS bigint) AS txn_id, v1, v2, false AS deleted FROM objs
+  UNION ALL SELECT {text("o")}, event_id + 1, txn_id, cast(a1 AS double), cast(a2 AS double), false FROM op1 WHERE kind = 'w'),
+wrote AS (SELECT {text("o")} AS obj, cast(0 AS bigint) AS ver, cast(-4611686018427387904 AS bigint) AS e, cast(0 AS bigint) AS txn_id, 0 AS op_seq, v1, v2 FROM objs
+  UNION ALL SELECT {text("o")}, event_id + 1, e, txn_id, op_seq, cast(a1 AS double), cast(a2 AS double) FROM op1 WHERE kind = 'w'),
+shown AS (SELECT *, lead(e) OVER (PARTITION BY obj ORDER BY e, txn_id, op_seq) AS next_e, lead(txn_id) OVER (PARTITION BY obj ORDER BY e, txn_id, op_seq) AS next_txn FROM wrote),
+hits AS (SELECT a.txn_id, a.pred_id, v.obj, v.ver AS sees FROM asked a JOIN shown v ON CASE WHEN a.col = 'v1' THEN v.v1 ELSE v.v2 END BETWEEN a.lo AND a.hi
+  AND (v.e < a.e OR v.e = a.e AND v.txn_id < a.txn_id) AND (v.next_e IS NULL OR v.next_e > a.e OR v.next_e = a.e AND v.next_txn > a.txn_id)),
 txns AS (SELECT txn_id, cast(session_id AS int) AS session_id, cast(block AS int) AS session_pos, 'c' AS status, min(s) AS s, max(e) AS e, max(kind) AS ttype FROM op1 GROUP BY txn_id, session_id, block),
-ops AS (SELECT txn_id, cast(op_seq AS int) AS op_seq, kind, concat('prow:', {text(f"event_id % {objects}")}) AS obj, event_id + 1 AS ver, cast(NULL AS int) AS pred_id FROM op1 WHERE kind = 'w'
+ops AS (SELECT txn_id, cast(op_seq AS int) AS op_seq, kind, {text("o")} AS obj, event_id + 1 AS ver, cast(NULL AS int) AS pred_id FROM op1 WHERE kind = 'w'
   UNION ALL SELECT txn_id, 0, 'pr', obj, sees, pred_id FROM hits
   UNION ALL SELECT a.txn_id, 0, 'pr', NULL, NULL, a.pred_id FROM asked a WHERE NOT EXISTS (SELECT 1 FROM hits h WHERE h.txn_id = a.txn_id AND h.pred_id = a.pred_id))"""

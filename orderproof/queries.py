@@ -63,7 +63,7 @@ _on("duplicate_versions", WR, _reg("wr"), prelim.duplicate_versions, "SELECT obj
 
 # -- predicates
 PRED = texts.predicate_rows("duckdb")
-THETA = "th AS (SELECT p.pred_id, v.obj, v.ver, v.v1 BETWEEN p.lo AND p.hi AS holds FROM prs p, vers v)"
+THETA = "th AS (SELECT p.pred_id, v.obj, v.ver, CASE WHEN p.col = 'v1' THEN v.v1 ELSE v.v2 END BETWEEN p.lo AND p.hi AS holds FROM prs p, vers v)"
 UNK = """asks AS (SELECT DISTINCT txn_id, pred_id FROM ops WHERE kind = 'pr'), allr AS (SELECT a.txn_id, a.pred_id, o.obj FROM asks a, (SELECT DISTINCT obj FROM vers) o),
 tr AS (SELECT a.*, o.ver FROM allr a LEFT JOIN ops o ON o.kind = 'pr' AND o.txn_id = a.txn_id AND o.pred_id = a.pred_id AND o.obj = a.obj)"""
 CAND = """unk AS (SELECT tr.txn_id AS reader, pred_id, obj FROM tr WHERE ver IS NULL),
