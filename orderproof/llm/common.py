@@ -5,9 +5,10 @@ from __future__ import annotations
 import atexit
 import contextlib
 import gc
+import re
 import tempfile
 import uuid
-from functools import wraps
+from functools import lru_cache, wraps
 
 import numpy as np
 import pyarrow as pa
@@ -17,14 +18,16 @@ from pyspark.sql import functions as F
 
 ASCII_SPACE = r"[\x20\x09-\x0D]+"
 #: Text bytes that one Python step holds at a time.
-SLICE_BYTES = 8 << 20
+SLICE_BYTES = 4 << 20
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a local one where that is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir, or a local one where that is unset and all runs in this process (tests)."""
     sc = spark.sparkContext
     root = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not root:
+        if not re.match(r"local(\[|$)", sc.master):  # each machine of a cluster would have a folder of its own
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         root = tempfile.mkdtemp(prefix="orderproof-")
         sc.setCheckpointDir(root)
     return str(root).rstrip("/")
@@ -51,8 +54,8 @@ def staged(df: DataFrame, name: str, partition_by: list[str] | None = None) -> D
     w = df.write.mode("overwrite").option("compression", "zstd")
     (w.partitionBy(*partition_by) if partition_by else w).parquet(path)
     swept(spark)
-    if _tables is not None:
-        _tables.append(path)
+    if _made is not None:
+        _made.append(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch = path
     return out
@@ -67,22 +70,31 @@ def small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
 
 
-_tables: list[str] | None = None
+_made: list[str] | None = None  # scratch tables of the pipeline stage that is being put together
+_left: dict[int, list[str]] = {}  # those of stages that were, by the stage's place
 
 
-def stage_of_pipeline(f):
-    """A stage whose scratch tables go when the next stage begins: by then its result has been written and read again."""
+def stage_of_pipeline(place: int):
+    """A stage whose scratch tables go when the stage at the next place begins: by then its result has been written and read again.
+    Tables of anything else aren't touched."""
 
-    @wraps(f)
-    def run(spark, docs, sf_dir):
-        global _tables
-        for path in _tables or []:
-            _delete(spark, path)
-        swept(spark)
-        _tables = []
-        return f(spark, docs, sf_dir)
+    def wrap(f):
+        @wraps(f)
+        def run(spark, docs, sf_dir):
+            global _made
+            for path in _left.pop(place - 1, []):
+                _delete(spark, path)
+            swept(spark)
+            outer, _made = _made, []
+            try:
+                return f(spark, docs, sf_dir)
+            finally:
+                _left.setdefault(place, []).extend(_made)
+                _made = outer
 
-    return run
+        return run
+
+    return wrap
 
 
 def swept(spark: SparkSession) -> None:
@@ -170,6 +182,62 @@ def word_hashes(words: pa.Array, seed: int = 0) -> np.ndarray:
     return h[d.indices.to_numpy()]
 
 
+_STEP = 0x9E3779B97F4A7C17  # 3 modulo 4, so that two places' factors share few low bits
+_PLACES = 1 << 16
+#: Text bytes hashed at a time.
+HASH_BYTES = 2 << 20
+
+
+@lru_cache(maxsize=1)
+def _tables() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """A 64-bit number for each byte (A-Z as a-z), the step's powers, and which bytes are ASCII white space."""
+    of = mix64(np.arange(1, 257, dtype=np.uint64))
+    of[65:91] = of[97:123]
+    of[[32, *range(9, 14)]] = 0
+    power = np.full(_PLACES, _STEP, np.uint64)
+    power[0] = 1
+    space = np.zeros(256, bool)
+    space[[32, *range(9, 14)]] = True
+    return of, np.cumprod(power, dtype=np.uint64), space
+
+
+def hashed_words(text: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, 64-bit hash, first byte in the array's bytes) of each word of lower-cased (A-Z) texts, split at ASCII white space, in
+    order; null is empty. A word's hash is a polynomial over numbers that stand for its bytes, mixed; it's computed without making
+    the word."""
+    off, data = text_buffers(text)
+    of, power, white = _tables()
+    first = off[:-1][np.diff(off) > 0]
+    out_start, out_hash = [], []
+    a, n = 0, len(data)
+    while a < n:
+        b = min(a + HASH_BYTES, n)
+        while b < n and not white[data[b]]:  # a word isn't cut
+            ahead = white[data[b : b + HASH_BYTES]]
+            b += int(np.argmax(ahead)) if ahead.any() else len(ahead)
+        part = data[a:b]
+        inside = ~white[part]
+        after = np.empty(len(part), bool)  # behind white space or at the begin of a text
+        after[0] = True
+        np.logical_not(inside[:-1], out=after[1:])
+        x, y = np.searchsorted(first, [a, b])
+        after[first[x:y] - a] = True
+        start = np.flatnonzero(inside & after)
+        if len(start):
+            size = np.diff(start, append=len(part))  # with the white space behind the word, which stands for 0
+            value = of[part[start[0] :]]
+            place = np.arange(start[0], len(part), dtype=np.int32) - np.repeat(start.astype(np.int32), size)
+            value *= power[place if size.max() <= _PLACES else place & (_PLACES - 1)]
+            if size.max() > _PLACES:
+                value *= np.array([pow(_STEP, _PLACES * k, 1 << 64) for k in range(int(size.max()) // _PLACES + 1)], np.uint64)[place // _PLACES]
+            out_hash.append(mix64(np.add.reduceat(value, start - start[0])))
+            out_start.append(start + a)
+        a = b
+    start = np.concatenate(out_start) if out_start else np.zeros(0, np.int64)
+    h = np.concatenate(out_hash) if out_hash else np.zeros(0, np.uint64)
+    return np.searchsorted(off, start, "right") - 1, h, start
+
+
 def components(edges: DataFrame, name: str = "cc") -> DataFrame:
     """Connected components of edges (a, b: long) as (node, component), the component being its smallest node.
 
@@ -191,3 +259,48 @@ def components(edges: DataFrame, name: str = "cc") -> DataFrame:
         roots = e.select(F.col("u").alias("v")).distinct()
         if told.n == told.k and not e.join(roots, "v", "left_semi").limit(1).count():
             return e.select(F.col("u").alias("node"), F.col("v").alias("component"))
+
+
+def free(name: str, columns) -> str:
+    """`name`, with as many underscores before it as make it differ from all columns."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
+def addressed(df: DataFrame) -> tuple[DataFrame, str, str]:
+    """(df with two more columns, their names): the file and the place in it of each row, the same however the files are split.
+
+    What isn't a plain selection from files is written down first.
+    """
+    plan = df._jdf.queryExecution().analyzed()
+    plain = plan.deterministic()
+    while plan.nodeName() in ("Project", "Filter", "SubqueryAlias"):
+        plan = plan.children().head()
+        plain = plain and plan.deterministic()
+    if not plain or plan.nodeName() not in ("LogicalRelation", "Relation") or any(c.lower() == "_metadata" for c in df.columns):
+        if any(c.lower() == "_metadata" for c in df.columns):  # a user's own column hides the files' one
+            file, row = free("file", df.columns), free("row", df.columns)
+            return staged(df.withColumns({file: F.lit(0).cast("long"), row: F.monotonically_increasing_id()}), "rows"), file, row
+        df = staged(df, "rows")
+    file, row = free("file", df.columns), free("row", df.columns)
+    meta = df.metadataColumn("_metadata")
+    return df.select("*", F.xxhash64(meta["file_path"]).alias(file), meta["row_index"].alias(row)), file, row
+
+
+def packed(x: np.ndarray) -> bytes:
+    """Integers as offsets from the smallest one, in as few bytes each as the largest takes."""
+    x = x.astype(np.int64)
+    low = int(x.min(initial=0)) if len(x) else 0
+    off = (x - low).astype(np.uint64)
+    width = max(1, (int(off.max(initial=0)).bit_length() + 7) // 8)
+    body = off.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width]
+    return np.array([low, width], "<i8").tobytes() + body.tobytes()
+
+
+def unpacked(raw: bytes) -> np.ndarray:
+    low, width = np.frombuffer(raw, "<i8", 2).tolist()
+    out = np.zeros(((len(raw) - 16) // width, 8), np.uint8)
+    out[:, :width] = np.frombuffer(raw, np.uint8, offset=16).reshape(-1, width)
+    return out.view("<i8").ravel() + low

@@ -1,6 +1,6 @@
 """Exact Jaccard join of word n-gram sets by parity sketches.
 
-Every set is cut by hash into segments, and each segment keeps the parities of its hashed n-grams (their XOR). Sets that meet
+Every set is cut by hash into segments, and each segment keeps the XOR of its n-grams' 64-bit hashes. Sets that meet
 the threshold differ in at most d n-grams, so of d+1 segments one has equal parities: that is the join key, per size band (a few more segments make up for empty ones).
 The Hamming distance of whole-set sketches, which is never above the symmetric difference, then discards most pairs, and exact
 sets decide the rest. Equal sets are one node from the start. First each node is compared with the smallest one it
@@ -15,7 +15,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import components, mix64, released, small, staged, text_slices, word_hashes, words_of
+from orderproof.llm.common import addressed, components, hashed_words, mix64, released, small, staged, text_slices
 
 SKETCH_WORDS = 16  # of 64 bits
 WAVES = 4
@@ -25,10 +25,9 @@ U = np.uint64
 def shingle_sets(text: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
     """(row, 64-bit hash), sorted and distinct, of the word n-grams of each text; a text with fewer words has its whole
     sequence as one, a text without words none."""
-    words, rows = words_of(text)
-    if not len(words):
+    rows, h, _ = hashed_words(text)
+    if not len(h):
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
-    h = word_hashes(words)
     count = np.bincount(rows, minlength=len(text))
     first = np.concatenate([[0], np.cumsum(count)[:-1]])
     out_rows, out = [], []
@@ -94,7 +93,7 @@ def join_keys(row: np.ndarray, h: np.ndarray, size: np.ndarray, percent: int) ->
                 order = np.argsort(slot, kind="stable")
                 slot, x = slot[order], x[order]
             cut = np.flatnonzero(np.concatenate([[True], slot[1:] != slot[:-1]]))  # sorted hashes fill segments in order
-            parity = np.bitwise_xor.reduceat(mix64((x & U(0xFFFF)) + U(1)), cut)
+            parity = np.bitwise_xor.reduceat(mix64(x + U(1)), cut)
             seen[slot[cut]] = True
             name[slot[cut]] = mix64(parity ^ name[slot[cut]])
         return owner, name, seen
@@ -138,10 +137,10 @@ def _describe(n: int, percent: int):
                 sketch = np.packbits((bits & 1).astype(np.uint8)).view(np.int64)
                 yield pa.RecordBatch.from_arrays(
                     [
-                        part.column("id"), part.column("row"), pa.array(np.arange(uid, uid + m)), pa.array(size), pa.array(hi), pa.array(lo), _lists(krow[order], key[order], m),
+                        part.column("id"), part.column("file"), part.column("row"), pa.array(np.arange(uid, uid + m)), pa.array(size), pa.array(hi), pa.array(lo), _lists(krow[order], key[order], m),
                         pa.ListArray.from_arrays(pa.array(np.arange(0, m * SKETCH_WORDS + 1, SKETCH_WORDS, dtype=np.int32)), pa.array(sketch)),
                     ],
-                    ["id", "row", "uid", "n", "hi", "lo", "keys", "sketch"],
+                    ["id", "file", "row", "uid", "n", "hi", "lo", "keys", "sketch"],
                 )
                 uid += m
 
@@ -161,16 +160,16 @@ def _exact(n: int):
     return run
 
 
-def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> tuple[DataFrame, DataFrame]:
-    """(members, edges): a row per row of docs with id, row (row_col, if given), n_shingles, component_id and group (a number of the component), and verified links (a, b) of node ids.
+def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", address: tuple[str, str] | None = None) -> tuple[DataFrame, DataFrame]:
+    """(members, edges): a row per row of docs with id, file and row (the columns of `address`, if given), n_shingles, component_id and group (a number of the component), and verified links (a, b) of node ids.
 
     Texts link where 100 * |A & B| >= percent * |A | B| over their n-gram sets; component_id is the smallest id reachable. Null ids
     are rows too, whose component is the smallest other id, or null. Texts without words link with nothing. Rows with the same id but
     other texts are documents of their own. Other columns aren't read.
     """
-    row = F.col(row_col) if row_col else F.lit(None)
-    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), row.cast("long").alias("row"))
-    rows = staged(texts.mapInArrow(_describe(n, percent), "id long, row long, uid long, n long, hi long, lo long, keys array<long>, sketch array<long>"), "sets")
+    file, row = map(F.col, address) if address else (F.lit(None), F.lit(None))
+    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), file.cast("long").alias("file"), row.cast("long").alias("row"))
+    rows = staged(texts.mapInArrow(_describe(n, percent), "id long, file long, row long, uid long, n long, hi long, lo long, keys array<long>, sketch array<long>"), "sets")
     full = rows.filter("n > 0")
     same = full.groupBy("hi", "lo").agg(F.min("uid").alias("node"), F.min("id").alias("first"))
     same = staged(same, "same")
@@ -221,20 +220,21 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
     names = same.join(known, "node", "left").select("hi", "lo", "node", "first", F.coalesce("component", "node").alias("c"))
     least = names.groupBy("c").agg(F.min("first").alias("component_id"))
     names = staged(names.join(least, "c").select("hi", "lo", "component_id", F.col("c").alias("group")), "names")
-    alone = rows.filter("n = 0").select("id", "row", F.col("n").alias("n_shingles"), F.col("id").alias("component_id"), F.col("uid").alias("group"))
-    grouped = rows.filter("n > 0").join(names, ["hi", "lo"]).select("id", "row", F.col("n").alias("n_shingles"), "component_id", "group")
+    alone = rows.filter("n = 0").select("id", "file", "row", F.col("n").alias("n_shingles"), F.col("id").alias("component_id"), F.col("uid").alias("group"))
+    grouped = rows.filter("n > 0").join(names, ["hi", "lo"]).select("id", "file", "row", F.col("n").alias("n_shingles"), "component_id", "group")
     return grouped.unionAll(alone), edges
 
 
 def first_of_each(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs that stay: of each group of near duplicates the one with the smallest id (one of them, where ids
     repeat). Texts without words stay."""
-    rows = staged(docs.withColumn("__row", F.monotonically_increasing_id()), "docs")
-    members, _ = link(rows, n, percent, id_col, text_col, row_col="__row")
-    place = F.struct(F.col("id").isNull().alias("none"), "id", "row")
-    keep = members.filter("n_shingles > 0").groupBy("group").agg(F.min(place)["row"].alias("__row"))
-    keep = keep.select("__row").union(members.filter("n_shingles = 0").select("row"))
-    return rows.join(keep, "__row", "left_semi").select(*docs.columns)
+    rows, file, row = addressed(docs)
+    members, _ = link(rows, n, percent, id_col, text_col, (file, row))
+    members = staged(members.select("id", "file", "row", "n_shingles", "group"), "members")
+    place = F.struct(F.col("id").isNull().alias("none"), "id", "file", "row")
+    first = members.filter("n_shingles > 0").groupBy("group").agg(F.min(place).alias("first"))
+    gone = members.filter("n_shingles > 0").join(first, "group").filter("file != first.file OR row != first.row").select(F.col("file").alias(file), F.col("row").alias(row))
+    return rows.join(small(staged(gone, "gone")), [file, row], "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
