@@ -18,7 +18,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import mix64, plan_bytes, released, staged, text_slices, word_hashes, words_of
+from orderproof.llm.common import hashed_words, mix64, plan_bytes, released, staged, text_slices
 
 U = np.uint64
 BOS, END = U(0x1D8E4E27C47D124F), U(0xE29AD4B97F2E0C35)
@@ -103,9 +103,9 @@ def _segments(bits: int, tokens: int):
         seg, parts, total = TaskContext.get().partitionId() << 24, [], 0
         for batch in batches:
             for part in text_slices(batch):
-                words, row = words_of(part.column("text"))
+                row, h, _ = hashed_words(part.column("text"))
                 size = np.bincount(row, minlength=part.num_rows)
-                h = np.insert(word_hashes(words), np.cumsum(size), END)
+                h = np.insert(h, np.cumsum(size), END)
                 ids = np.empty((part.num_rows, 1), object)
                 ids[:, 0] = part.column("id").to_pylist()
                 parts.append((ids, part.column("held").to_numpy(zero_copy_only=False).astype(bool), size + 1, h))

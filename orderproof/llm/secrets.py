@@ -17,6 +17,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from orderproof.llm.common import free
+
 #: The kinds and their patterns, in the order of the contract.
 ASSIGN = r"""((?i)password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]{16,}"  # a run of 20 or more in all; shorter runs hold no other match
@@ -151,9 +153,10 @@ def redact(docs: DataFrame, model: RandomnessModel, text_col: str = "text", mask
         new = masked(new, kind, pattern, ok)
     if count_col not in docs.columns:
         return docs.withColumn(text_col, new)
-    met = docs.withColumn("__new", new)
-    count = F.when(F.col("__new") != F.col(text_col), F.char_length("__new").cast(docs.schema[count_col].dataType)).otherwise(F.col(count_col))
-    return met.withColumn(count_col, count).withColumn(text_col, F.col("__new")).select(*docs.columns)
+    own = free("masked", docs.columns)
+    met = docs.withColumn(own, new)
+    count = F.when(F.col(own) != F.col(text_col), F.char_length(own).cast(docs.schema[count_col].dataType)).otherwise(F.col(count_col))
+    return met.withColumn(count_col, count).withColumn(text_col, F.col(own)).drop(own)
 
 
 def default_model(docs: DataFrame) -> RandomnessModel:

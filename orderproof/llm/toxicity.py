@@ -142,12 +142,13 @@ def fit(
     """Trains from docs (doc_id, text) and labels (doc_id, toxic) whose doc_id meets `eligible`.
 
     Bounded samples, by smallest hash of doc_id: `positives` confirmed toxic documents, `unlabelled` documents of any kind (their
-    labels play no part in the risk), and as many labelled ones for the class prior and the calibration. Rows with a null
-    id or label don't train. With no toxic label at all every text scores 0.
+    labels play no part in the risk), and as many labelled ones, toxic or not, for the class prior and the calibration: the risk is
+    learnt from positives and unlabelled texts only, the prior and the two numbers that map margins to scores are not. Rows with a
+    null id or label don't train. Of several labels of a doc_id the largest holds; of several texts each is a row. With no toxic label at all every text scores 0.
     """
     ok = F.lit(True) if eligible is None else eligible
     by = F.xxhash64(F.col("doc_id"), F.lit(11))
-    known = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ok)
+    known = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ok).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     some = lambda df, n: df.orderBy(by, "doc_id").limit(n)
     toxic = some(known.filter("toxic = 1"), positives).select("doc_id", F.lit(1).alias("use"), F.lit(1).alias("toxic"))
     told = some(known, unlabelled).select("doc_id", F.lit(2).alias("use"), "toxic")
