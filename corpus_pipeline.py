@@ -9,34 +9,32 @@ from orderproof.llm import line_dedup, ngram_join, packing, secrets, toxicity
 from orderproof.llm.common import scratch_path, stage_of_pipeline
 
 
-
-@stage_of_pipeline
+@stage_of_pipeline(0)
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose toxicity score is below the contract's threshold; null and empty texts stay."""
     model = toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    scored = docs.withColumn("__score", model.score(F.col("text")))
-    return scored.filter("__score < 0.3").select(*docs.columns)
+    return docs.filter(model.score(F.col("text")) < 0.3)
 
 
-@stage_of_pipeline
+@stage_of_pipeline(1)
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, without lines that are alike an earlier one."""
     return line_dedup.drop_lines(docs, least=1)
 
 
-@stage_of_pipeline
+@stage_of_pipeline(2)
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates (five words, similarity 0.8): the one with the smallest doc_id."""
     return ngram_join.first_of_each(docs)
 
 
-@stage_of_pipeline
+@stage_of_pipeline(3)
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with secrets masked in their texts."""
     return secrets.redact(docs, secrets.default_model(docs), count_col="n_chars")
 
 
-@stage_of_pipeline
+@stage_of_pipeline(4)
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents' ids as pieces of sequences."""
     return packing.pack(docs, packing.byte_bpe_50k)
