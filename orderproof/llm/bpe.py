@@ -23,8 +23,11 @@ def ranks(path: str) -> dict[bytes, int]:
 
 
 @lru_cache(maxsize=4)
-def token_bytes(path: str) -> dict[int, bytes]:
-    return {i: b for b, i in ranks(path).items()}
+def token_table(path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start and size of each id's bytes, and all bytes one after the other."""
+    of = {i: b for b, i in ranks(path).items()}
+    size = np.array([len(of.get(i, b"")) for i in range(max(of) + 1)], np.int64)
+    return np.cumsum(size) - size, size, np.frombuffer(b"".join(of.get(i, b"") for i in range(len(size))), np.uint8)
 
 
 class Encoder:
