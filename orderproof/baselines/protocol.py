@@ -10,8 +10,11 @@ from orderproof.schema import History
 
 
 def overlapping_updates(h: History) -> DataFrame:
-    """(obj, i, j): committed writers of an object whose transactions overlap: the first committer must have won."""
-    return constraints.overlapping(prelim.installed(h).select("txn_id", "obj", "s", "e"), ["obj"])
+    """(obj, i, j): committed updates of an object that overlap, from the write operation's begin to its transaction's end: of two such
+    the protocol would have let one commit only. A write without an operation time counts from its transaction's begin."""
+    last = h.ops.filter("kind = 'w'").groupBy("txn_id", "obj").agg(F.max_by("op_s", "op_seq").alias("op_s"))
+    w = last.join(prelim.committed(h).select("txn_id", "s", "e"), "txn_id").select("txn_id", "obj", F.coalesce("op_s", "s").alias("s"), "e")
+    return constraints.overlapping(w, ["obj"])
 
 
 def verify(h: History, protocol: str = "ssi") -> DataFrame:

@@ -14,20 +14,37 @@ from orderproof.operators import prelim
 from orderproof.schema import History
 
 
-def serial_orders(txns: list[dict], holds: dict, first: bool = True) -> list[tuple]:
-    """Orders in which every read sees the last write before it, and no object that a predicate read skipped matches; stops
-    at the first one if asked. Depth first, pruned as soon as a read fails."""
+def serial_orders(txns: list[dict], holds: dict, first: bool = True, timed: bool = False) -> list[tuple]:
+    """Orders in which every read sees the last write before it, its own transaction's included, and no object that a predicate read
+    skipped matches; stops at the first one if asked. Depth first, pruned as soon as a read fails. A transaction's `steps` are
+    (kind, object, version or predicate) in order; without them it reads first and writes then. timed: what ended no later than another
+    began comes first."""
     found: list[tuple] = []
 
+    def steps(t: dict) -> list[tuple]:
+        if "steps" in t:
+            return t["steps"]
+        return [("r", o, v) for o, v in t["reads"]] + [("u", o, p) for p, o in t["unknown"]] + [("w", o, v) for o, v in t["writes"].items()]
+
+    def after(t: dict, state: dict) -> dict | None:
+        state = dict(state)
+        for kind, o, x in steps(t):
+            if kind == "w":
+                state[o] = x
+            elif kind == "r" and state.get(o, 0) != x or kind == "u" and holds.get((x, o, state.get(o, 0)), False):
+                return None
+        return state
+
     def go(order: tuple, state: dict, rest: frozenset) -> bool:
         if not rest:
             found.append(order)
             return first
         for i in sorted(rest):
-            t = txns[i]
-            if all(state.get(o, 0) == v for o, v in t["reads"]) and not any(holds.get((p, o, state.get(o, 0)), False) for p, o in t["unknown"]):
-                if go((*order, t["id"]), state | t["writes"], rest - {i}):
-                    return True
+            if timed and any(txns[j]["e"] <= txns[i]["s"] for j in rest):
+                continue
+            now = after(txns[i], state)
+            if now is not None and go((*order, txns[i]["id"]), now, rest - {i}):
+                return True
         return False
 
     go((), {}, frozenset(range(len(txns))))
@@ -149,8 +166,9 @@ def as_lists(pdf: pd.DataFrame) -> tuple[list[dict], dict]:
     return sorted(txns.values(), key=lambda t: (t["s"], t["id"])), holds
 
 
-def run(h: History, method) -> DataFrame:
-    """One row with what `method` (txns, holds) -> dict gives; for small histories, whose rows meet in one worker."""
+def run(h: History, method, group: int | None = None) -> DataFrame:
+    """What `method` (txns, holds) -> dict gives, a row a measure; for small histories, whose rows meet in one worker. With `group` for
+    each run of that many transaction ids on its own (column case_no), without predicates."""
     long = lambda c: F.col(c).cast("long") if isinstance(c, str) else c.cast("long")
     none = F.lit(None).cast("long")
     t = prelim.committed(h).select(F.lit("t").alias("kind"), F.col("txn_id").alias("a"), long("session_id").alias("b"), F.lit(None).cast("string").alias("obj"), F.col("s").alias("x"), F.col("e").alias("y"), long("session_pos").alias("z"))
@@ -158,13 +176,14 @@ def run(h: History, method) -> DataFrame:
     own = prelim.writes(h).select("txn_id", "obj", "ver")
     r = prelim.reads(h).join(own, ["txn_id", "obj", "ver"], "left_anti").select(F.lit("r").alias("kind"), F.col("txn_id").alias("a"), none.alias("b"), "obj", F.col("ver").alias("x"), none.alias("y"), none.alias("z"))
     rows = t.unionAll(w).unionAll(r)
-    if h.preds is not None:
+    if h.preds is not None and group is None:
         u = prelim.unknown_theta_reads(h).select(F.lit("u").alias("kind"), F.col("txn_id").alias("a"), long("pred_id").alias("b"), "obj", none.alias("x"), none.alias("y"), none.alias("z"))
         p = prelim.theta(h).select(F.lit("h").alias("kind"), none.alias("a"), long("pred_id").alias("b"), "obj", F.col("ver").alias("x"), long("holds").alias("y"), none.alias("z"))
         rows = rows.unionAll(u).unionAll(p)
 
-    def work(pdf: pd.DataFrame) -> pd.DataFrame:
+    def work(key, pdf: pd.DataFrame) -> pd.DataFrame:
         got = method(*as_lists(pdf))
-        return pd.DataFrame([(k, None if v is None else int(v)) for k, v in got.items()], columns=["measure", "value"])
+        return pd.DataFrame([(int(key[0]), k, None if v is None else int(v)) for k, v in got.items()], columns=["case_no", "measure", "value"])
 
-    return rows.groupBy(F.lit(0).alias("one")).applyInPandas(work, "measure string, value long")
+    case = F.floor(F.col("a") / group).cast("long") if group else F.lit(0).cast("long")
+    return rows.withColumn("case_no", case).groupBy("case_no").applyInPandas(work, "case_no long, measure string, value long")

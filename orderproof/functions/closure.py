@@ -3,9 +3,15 @@ after it ended is reachable by time, and of what ended before it began nothing i
 
 from __future__ import annotations
 
+import heapq
+import time
 from bisect import bisect_left, bisect_right
 
 
+class Late(Exception):
+    """The time allowed is over."""
+
+
 class Cycle(Exception):
     """The edges hold a cycle; args[0] is its edges where known."""
 
@@ -32,6 +38,7 @@ class Band:
         self.edge: dict[tuple[int, int], tuple[int, int]] = {}
         self.trail: list = []
         self.looked = 0
+        self.stop = float("inf")  # on the monotonic clock
 
     def cells(self) -> int:
         return sum(r - low + 1 for r, low in zip(self.r, self.l, strict=True))
@@ -49,6 +56,8 @@ class Band:
         """Closure of explicit edges and time, transactions finished in reverse topological order. Raises Cycle."""
         n, state, waves = self.n, [0] * self.n, self._waves()
         for root in range(n):
+            if time.monotonic() > self.stop:
+                raise Late
             if state[root]:
                 continue
             stack = [(root, iter([*succ[root], *waves[root]]))]
@@ -141,19 +150,102 @@ class Band:
                 new &= new - 1
 
     def path(self, i: int, j: int) -> list[tuple[int, int]]:
-        """Explicit edges along a path from i to j; hops between them are by time."""
-        out, todo = [], [(i, j)]
+        """Explicit edges along a path from i to j, in order; hops between them are by time."""
+        out, todo = [], [(i, j, False)]
         while todo:
-            a, b = todo.pop()
-            if a == b or b > self.r[a]:
-                continue
-            u, v = self.edge[a, b]
-            out.append((u, v))
-            if (a, b) != (u, v):
-                todo += [(a, u), (v, b)]
+            a, b, explicit = todo.pop()
+            if explicit:
+                out.append((a, b))
+            elif a != b and b <= self.r[a]:
+                u, v = self.edge[a, b]
+                todo += [(v, b, False), (u, v, True), (a, u, False)] if (a, b) != (u, v) else [(u, v, True)]
         return out
 
 
+class DictBand(Band):
+    """The same closure with a hash map of sets in place of packed rows, for comparison."""
+
+    def __init__(self, s, e, timed: bool = True):
+        super().__init__(s, e, timed)
+        self.row = _Sets(self.n)
+
+
+class _Sets:
+    """Rows of bits kept as sets of places in a dictionary."""
+
+    def __init__(self, n: int):
+        self.of: dict[int, set[int]] = {}
+
+    def __getitem__(self, i: int) -> int:
+        return sum(1 << k for k in self.of.get(i, ()))
+
+    def __setitem__(self, i: int, bits: int) -> None:
+        at = set()
+        while bits:
+            at.add((bits & -bits).bit_length() - 1)
+            bits &= bits - 1
+        self.of[i] = at
+
+
+def schedule(s: list[int], e: list[int], edges: list[tuple[int, int]]) -> tuple[list[int], list[tuple[int, int, str]]]:
+    """(an order of all transactions that keeps edges and time, []), or ([], a cycle as (from, to, "edge" or "time")).
+
+    Time edges go through a chain of all begins and ends, so there are as many as transactions.
+    """
+    n = len(s)
+    events = sorted([(x, 0, i) for i, x in enumerate(e)] + [(x, 1, i) for i, x in enumerate(s)])  # an end comes before a begin at the same time
+    succ: list[list[int]] = [[] for _ in range(n + len(events))]
+    for k, (_, begin, i) in enumerate(events):
+        if k + 1 < len(events):
+            succ[n + k].append(n + k + 1)
+        if begin:
+            succ[n + k].append(i)
+        else:
+            succ[i].append(n + k)
+    for u, v in edges:
+        succ[u].append(v)
+    need = [0] * len(succ)
+    for out in succ:
+        for v in out:
+            need[v] += 1
+    rank = lambda x: (s[x], x) if x < n else (events[x - n][0], x)
+    ready = [(rank(x), x) for x in range(len(succ)) if not need[x]]
+    heapq.heapify(ready)
+    order, done = [], 0
+    while ready:
+        _, x = heapq.heappop(ready)
+        done += 1
+        if x < n:
+            order.append(x)
+        for v in succ[x]:
+            need[v] -= 1
+            if not need[v]:
+                heapq.heappush(ready, (rank(v), v))
+    if done == len(succ):
+        return order, []
+    before: dict[int, int] = {}
+    for x, out in enumerate(succ):
+        if need[x] or any(need[v] for v in out):
+            for v in out:
+                if need[v] and need[x]:
+                    before[v] = x
+    x, seen = next(v for v in before if need[v]), []
+    while x not in seen:
+        seen.append(x)
+        x = before[x]
+    ring = [*reversed(seen[seen.index(x) :])]
+    start = next(k for k, y in enumerate(ring) if y < n)
+    ring = [*ring[start:], *ring[:start], ring[start]]
+    out, last, hop = [], ring[0], "edge"
+    for y in ring[1:]:
+        if y >= n:
+            hop = "time"
+        else:
+            out.append((last, y, hop))
+            last, hop = y, "edge"
+    return [], out
+
+
 def purdom(n: int, edges: list[tuple[int, int]]) -> list[int]:
     """Full closure as bit rows, in reverse topological order. Raises Cycle."""
     b = Band(list(range(n)), [i + n + 1 for i in range(n)], timed=False)

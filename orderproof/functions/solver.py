@@ -10,7 +10,7 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
-from orderproof.functions.closure import Band, Cycle
+from orderproof.functions.closure import Band, Cycle, DictBand, Late, schedule
 
 
 @dataclass
@@ -38,6 +38,8 @@ class Search:
         self.waiting: list[tuple[int, tuple]] = []  # open edges of chosen options
         self.learned: list[frozenset] = []
         self.conflicts = self.decisions = 0
+        self.clash: list[tuple[int, int]] = []  # the last cycle met: explicit edges in order
+        self.stop = time.monotonic() + budget_s
 
     def support(self, i: int, j: int) -> frozenset:
         """Choices that a path from i to j rests on."""
@@ -47,10 +49,9 @@ class Search:
         return out
 
     def add(self, u: int, v: int, because: frozenset) -> None:
-        if u == v:
-            raise Conflict(because)
-        if self.c.reach(v, u):
-            raise Conflict(because | self.support(v, u))
+        if u == v or self.c.reach(v, u):
+            self.clash = [(u, v), *self.c.path(v, u)] if u != v else [(u, v)]
+            raise Conflict(because | self.support(v, u) if u != v else because)
         if not self.c.reach(u, v):
             self.why[u, v] = because
             self.c.insert(u, v)
@@ -81,11 +82,9 @@ class Search:
         for u, v, via in self.cons[k][o]:
             if u == v and via is None:
                 return frozenset()
-            if via is None:
-                if self.c.reach(v, u):
-                    return self.support(v, u)
-            elif self.c.reach(*via) and self.c.reach(v, u):
-                return self.support(*via) | self.support(v, u)
+            if (via is None or self.c.reach(*via)) and self.c.reach(v, u):
+                self.clash = [(u, v), *self.c.path(v, u)]
+                return self.support(v, u) | (self.support(*via) if via else frozenset())
         mine = (k, o)
         for clash in self.learned:
             if mine in clash and all(self.chosen.get(a) == b for a, b in clash if (a, b) != mine):
@@ -97,6 +96,8 @@ class Search:
         moved = True
         while moved:
             moved = self.settle()
+            if time.monotonic() > self.stop:
+                raise Late
             for k in range(len(self.cons)):
                 if k in self.chosen:
                     continue
@@ -130,11 +131,10 @@ class Search:
         return frozenset(out)
 
     def run(self) -> Outcome:
-        stop = time.monotonic() + self.budget
         levels: list[tuple] = []  # (constraint, option, marks before)
 
         def done(ok, why="") -> Outcome:
-            return Outcome(ok, why, chosen=dict(self.chosen), left=self.left, conflicts=self.conflicts, decisions=self.decisions)
+            return Outcome(ok, why, [] if ok or ok is None else self.clash, dict(self.chosen), self.left, self.conflicts, self.decisions)
 
         self.left = len(self.cons)
         try:
@@ -159,7 +159,7 @@ class Search:
                 pending = [self._pick(todo)]
             except Conflict as x:
                 self.conflicts += 1
-                if time.monotonic() > stop:
+                if time.monotonic() > self.stop:
                     return done(None, "timeout")
                 pending = []
                 clash = self.decided(x.args[0])
@@ -190,22 +190,41 @@ class Search:
         self.chosen, self.reason, self.waiting, self.why = dict(chosen), dict(reason), list(waiting), dict(why)
 
 
-def solve(s: list[int], e: list[int], known: list[tuple[int, int]], constraints: list[list[list[tuple]]], timed: bool = True, budget_s: float = 600.0, time_first: bool = True, prune: bool = True) -> Outcome:
-    """Decides a set of transactions sorted by start. known: certain edges; constraints: see Search."""
-    c = Band(s, e, timed)
+def ring(cycle: list[tuple[int, int]]) -> list[tuple[int, int, str]]:
+    """Explicit edges of a cycle in order, with the hops by time between them."""
+    out = []
+    for (u, v), (w, _) in zip(cycle, [*cycle[1:], *cycle[:1]], strict=True):
+        out.append((u, v, "edge"))
+        if v != w:
+            out.append((v, w, "time"))
+    return out
+
+
+def solve(
+    s: list[int], e: list[int], known: list[tuple[int, int]], constraints: list[list[list[tuple]]], timed: bool = True, budget_s: float = 600.0, time_first: bool = True, prune: bool = True, layout: str = "bits"
+) -> Outcome:
+    """Decides a set of transactions sorted by start. known: certain edges; constraints: see Search. An accepted one comes with an
+    order, a rejected one with a cycle (u, v, "edge" or "time"): of known edges, or the last one that left no choice."""
+    c = {"bits": Band, "dict": DictBand}[layout](s, e, timed)
+    c.stop = time.monotonic() + budget_s
     succ = [set() for _ in s]
     for u, v in known:
         if u == v:
-            return Outcome(False, "known_cycle", [(u, v)])
+            return Outcome(False, "known_cycle", [(u, v, "edge")])
         succ[u].add(v)
+    when = (s, e) if timed else ([0] * len(s), [1] * len(s))
     try:
         c.build(succ)
-    except Cycle as x:
-        return Outcome(False, "known_cycle", x.args[0])
-    if any(not options for options in constraints):
-        return Outcome(False, "empty_candidates")
-    found = Search(c, constraints, known, budget_s, time_first, prune)
-    out = found.run()
+        if any(not options for options in constraints):
+            return Outcome(False, "empty_candidates")
+        search = Search(c, constraints, known, budget_s, time_first, prune)
+        search.stop = c.stop
+        out = search.run()
+    except Cycle:
+        return Outcome(False, "known_cycle", schedule(*when, known)[1])
+    except Late:
+        return Outcome(None, "timeout")
     if out.ok:
-        out.order = sorted(range(c.n), key=lambda i: sum(c.reach(j, i) for j in range(c.n) if j != i)) if c.n <= 2000 else []
+        out.order = schedule(*when, list(search.why))[0]
+    out.cycle = ring(out.cycle)
     return out

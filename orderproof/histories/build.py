@@ -2,16 +2,26 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from orderproof import schema
 from orderproof.histories import texts
+from orderproof.plans.global_order import running_all
 from orderproof.schema import History
+from orderproof.sources import generator
 from orderproof.sources.tables import views
 
 
+def named(ctes: str) -> str:
+    """The text over the views that tables.views() makes."""
+    return re.sub(r"\b(FROM|JOIN|events,) (events|part|orders|lineitem|customer)\b", r"\1 orderproof_\2", ctes)
+
+
 def _of(spark: SparkSession, ctes: str) -> History:
+    ctes = named(ctes)
     txns = spark.sql(f"WITH {ctes} SELECT txn_id, session_id, session_pos, status, s, e, ttype FROM txns")
     ops = spark.sql(f"WITH {ctes} SELECT txn_id, op_seq, kind, obj, ver, cast(null AS int) AS pred_id, op_s, op_e FROM ops")
     return History(txns, ops)
@@ -55,9 +65,21 @@ def widened(h: History, latency_us: int = 0, skew_us: int = 0) -> History:
     return h.but(txns=h.txns.withColumn("s", F.col("s") - pad).withColumn("e", F.col("e") + pad))
 
 
+def generated(spark: SparkSession, rows: int, objects: int = 10_000, writers: int = 5) -> History:
+    """A register history of any size from the generating source; reads see the last version by the order of end times."""
+    generator.register(spark)
+    asked = spark.read.format("register_history").options(rows=rows, objects=objects, writers=writers).load()
+    seen = running_all(asked.withColumn("own", F.when(F.col("kind") == "w", F.struct("e", "txn_id", "op_seq", "ver"))), "e", ["txn_id", "op_seq"], {"last": ("max", F.col("own"), True)}, ["obj"])
+    none = lambda kind: F.lit(None).cast(kind)
+    ops = seen.select("txn_id", "op_seq", "kind", "obj", F.coalesce("ver", "last.ver", F.lit(0)).cast("long").alias("ver"), none("int").alias("pred_id"), none("long").alias("op_s"), none("long").alias("op_e"))
+    txns = asked.groupBy("txn_id").agg(F.min("s").alias("s"), F.max("e").alias("e"), F.max("kind").alias("ttype"))
+    txns = txns.select("txn_id", (F.col("txn_id") % 24).cast("int").alias("session_id"), F.floor(F.col("txn_id") / 24).cast("int").alias("session_pos"), F.lit("c").alias("status"), "s", "e", "ttype")
+    return History(txns, ops)
+
+
 def predicate_rows(spark: SparkSession, sf_dir: str) -> History:
     views(spark, sf_dir, "events", "part")
-    ctes = texts.predicate_rows("spark")
+    ctes = named(texts.predicate_rows("spark"))
     get = lambda what, table: spark.sql(f"WITH {ctes} SELECT {what} FROM {table}")
     return History(
         get("txn_id, session_id, session_pos, status, s, e, ttype", "txns"),

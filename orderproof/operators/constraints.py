@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from orderproof.operators import prelim
 from orderproof.schema import INITIAL, History
+from orderproof.sources.scratch import written
 
 
 def item_pair_counts(h: History) -> DataFrame:
@@ -19,15 +20,21 @@ def item_pair_counts(h: History) -> DataFrame:
 def overlapping(rows: DataFrame, keys: list[str]) -> DataFrame:
     """Pairs i < j of rows (txn_id, s, e, *keys) with equal keys and overlapping intervals, as (*keys, i, j).
 
-    Intervals are dealt to time buckets as wide as the mean interval; a pair is kept in the first bucket both lie in, so
-    the join grows with the overlap and not with the square of a key's rows. A row much longer than others is in many buckets.
+    An interval belongs to the class of its length, a power of two, and touches two buckets of that width at most. It is dealt to
+    these, and as the shorter side of a pair to the buckets of each wider class that occurs. A pair meets in the class of its longer
+    interval and is kept in the first bucket both lie in. So a row is in a bounded number of buckets however long it is, and the join
+    grows with the overlap and not with the square of a key's rows.
     """
-    width = rows.agg(F.greatest(F.ceil(F.avg(F.col("e") - F.col("s"))), F.lit(1)).cast("long")).head()[0] or 1
-    at = lambda c: F.floor(c / F.lit(width)).cast("long")
-    cut = rows.select(*keys, "txn_id", "s", "e", F.explode(F.sequence(at(F.col("s")), at(F.col("e") - 1))).alias("bucket"))
-    a, b = (cut.select(*keys, "bucket", F.col("txn_id").alias(x), F.col("s").alias(f"s{x}"), F.col("e").alias(f"e{x}")) for x in "ij")
-    met = a.join(b, [*keys, "bucket"]).filter("i < j AND si < ej AND sj < ei")
-    return met.filter(F.col("bucket") == at(F.greatest("si", "sj"))).select(*keys, "i", "j")
+    rows = rows.withColumn("level", F.ceil(F.log2(F.greatest(F.col("e") - F.col("s"), F.lit(1)))).cast("int"))
+    levels = [r.level for r in rows.select("level").distinct().collect()]  # 63 at most
+    at = lambda c, w: F.call_function("shiftright", F.col(c) if isinstance(c, str) else c, F.col(w))
+    put = lambda df, w: df.withColumn("bucket", F.explode(F.sequence(at("s", w), at(F.col("e") - 1, w))))
+    side = lambda df, x: df.select(*keys, "bucket", "wide", F.col("txn_id").alias(x), *(F.col(c).alias(f"{x}_{c}") for c in ("s", "e", "level")))
+    a = side(put(rows.withColumn("wide", F.col("level")), "wide"), "a")
+    b = side(put(rows.withColumn("wide", F.explode(F.filter(F.lit(levels).cast("array<int>"), lambda x: x >= F.col("level")))), "wide"), "b")
+    met = a.join(b, [*keys, "wide", "bucket"]).filter("a_s < b_e AND b_s < a_e AND (b_level < wide OR a < b)")
+    met = met.filter(F.col("bucket") == F.call_function("shiftright", F.greatest("a_s", "b_s"), F.col("wide")))
+    return met.select(*keys, F.least("a", "b").alias("i"), F.greatest("a", "b").alias("j"))
 
 
 def item_pairs(h: History, timed: bool = True) -> DataFrame:
@@ -58,21 +65,22 @@ def coalesced(sets: DataFrame) -> DataFrame:
 def predicate(h: History, unknown: DataFrame | None = None) -> DataFrame:
     """(cid, reader, obj, cand, src, dst, via_src, via_dst): one constraint for each predicate read that skipped an unknown version
     of an object. A candidate is a writer of a version that doesn't match (0: the initial one), which comes before the reader;
-    the reader comes before each writer of a matching version that overwrote the candidate's (via: only if that is so).
-    unknown: the reads to take, as unmet() gives them; all of them by default.
+    the reader comes before each other writer of a matching version that overwrote the candidate's (via: only if that is so). The
+    reader's own version is none of these: where it wrote before the read nothing is unknown, and later writes weren't there.
+    unknown: the reads to take, as unmet() gives them; by default all whose object some version of which matches.
     """
-    t = prelim.theta(h)
+    unknown = prelim.open_theta_reads(h) if unknown is None else unknown
+    t = prelim.truth(h, unknown.select("pred_id", "obj").distinct())
     w = prelim.installed(h).join(t, ["obj", "ver"]).select("obj", "pred_id", "txn_id", "holds")
     initial = t.filter(F.col("ver") == INITIAL).select("obj", "pred_id", F.lit(INITIAL).cast("long").alias("txn_id"), "holds")
     w = w.unionByName(initial)
-    unknown = prelim.unknown_theta_reads(h) if unknown is None else unknown
     unknown = unknown.select(F.col("txn_id").alias("reader"), "pred_id", "obj")
     cid = F.concat_ws("/", F.col("reader"), F.col("pred_id"), F.col("obj")).alias("cid")
     false = unknown.join(w.filter("NOT holds").select("obj", "pred_id", F.col("txn_id").alias("cand")), ["obj", "pred_id"]).filter("cand <> reader")
     true = w.filter(F.col("holds") & (F.col("txn_id") != INITIAL)).select("obj", "pred_id", F.col("txn_id").alias("m"))
     none = F.lit(None).cast("long")
     known = false.select(cid, "reader", "obj", "cand", F.col("cand").alias("src"), F.col("reader").alias("dst"), none.alias("via_src"), none.alias("via_dst"))
-    open_ = false.join(true, ["obj", "pred_id"]).filter("m <> cand").select(cid, "reader", "obj", "cand", F.col("reader").alias("src"), F.col("m").alias("dst"), F.col("cand").alias("via_src"), F.col("m").alias("via_dst"))
+    open_ = false.join(true, ["obj", "pred_id"]).filter("m <> cand AND m <> reader").select(cid, "reader", "obj", "cand", F.col("reader").alias("src"), F.col("m").alias("dst"), F.col("cand").alias("via_src"), F.col("m").alias("via_dst"))
     return known.unionAll(open_)
 
 
@@ -82,12 +90,11 @@ def unmet(h: History) -> DataFrame:
     A read is met by a candidate that ended before it if no match that began before the read's end also ended after the candidate's
     start. Of several the one that started last is the best, so two running maxima per object and predicate tell.
     """
-    t = prelim.theta(h)
-    w = prelim.installed(h).join(t, ["obj", "ver"]).select("obj", "pred_id", "s", "e", "holds")
+    asked = written(prelim.open_theta_reads(h))
+    t = prelim.truth(h, asked.select("pred_id", "obj").distinct())
+    w = written(prelim.installed(h).join(t, ["obj", "ver"]).select("obj", "pred_id", "s", "e", "holds"))
     initial = t.filter((F.col("ver") == INITIAL) & ~F.col("holds")).select("obj", "pred_id").distinct()
     true = w.filter("holds")
-    easy = initial.join(true.select("obj", "pred_id").distinct(), ["obj", "pred_id"], "left_anti")  # nothing ever matched
-    asked = prelim.unknown_theta_reads(h).select("txn_id", "pred_id", "obj", "s", "e").join(easy, ["obj", "pred_id"], "left_anti")
 
     def upto(reads: DataFrame, x: str, first: int, points: DataFrame, name: str) -> DataFrame:
         """reads with the largest value of the points (obj, pred_id, x, v) at x or before; strictly before if first is 0."""
@@ -106,11 +113,19 @@ def unmet(h: History) -> DataFrame:
 
 def empty_domains(h: History, candidates: DataFrame, unknown: DataFrame | None = None) -> DataFrame:
     """Unknown reads of objects of which no version fails the predicate: the history can't be serialised."""
-    unknown = prelim.unknown_theta_reads(h) if unknown is None else unknown
+    unknown = prelim.open_theta_reads(h) if unknown is None else unknown
     cid = F.concat_ws("/", F.col("txn_id"), F.col("pred_id"), F.col("obj"))
     return unknown.withColumn("cid", cid).join(candidates.select("cid").distinct(), "cid", "left_anti")
 
 
+def avoided_literally(h: History, candidates: DataFrame) -> DataFrame:
+    """Avoidance as published, for comparison only: every edge whose ends don't overlap goes, and candidates without edges with it. It
+    isn't sound: an edge against time is a veto, and a candidate whose edges all follow from time is free and not impossible."""
+    t = prelim.committed(h).select("txn_id", "s", "e")
+    side = lambda c: t.select(F.col("txn_id").alias(c), F.col("s").alias(f"{c}_s"), F.col("e").alias(f"{c}_e"))
+    return candidates.join(side("src"), "src").join(side("dst"), "dst").filter("src_s < dst_e AND dst_s < src_e").select(*candidates.columns).distinct()
+
+
 def avoided(h: History, candidates: DataFrame) -> DataFrame:
     """Candidates after client times: one whose read edge time contradicts goes with all its edges; an open edge goes where time
     implies it or contradicts its via pair; where a candidate has nothing left the constraint is met, and goes as a whole. Where time
@@ -131,8 +146,3 @@ def avoided(h: History, candidates: DataFrame) -> DataFrame:
 def search_space(pairs: DataFrame) -> DataFrame:
     """log2 of the number of assignments: one bit a pair of writers."""
     return pairs.select("i", "j").distinct().agg(F.count("*").alias("log2_assignments"))
-
-
-def reads_known(kind: Column) -> Column:
-    """Predicate reads of known versions join the known graph like item reads; only unknown ones give constraints."""
-    return kind.isNotNull()

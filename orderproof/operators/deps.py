@@ -55,24 +55,41 @@ def dsg(h: History, order: DataFrame) -> DataFrame:
 
 
 def theta_flips(h: History, order: DataFrame) -> DataFrame:
-    """(pred_id, obj, pos, txn_id, holds, flips): whether each version changes the truth of each predicate of its domain. Before
-    the first version no object meets a predicate."""
-    t = order.join(prelim.theta(h), ["obj", "ver"])
+    """(pred_id, obj, ver, pos, txn_id, holds, flips): whether each version changes the truth of each predicate that some version of the
+    object meets. The initial version, where there is one, is at place 0; nothing meets a predicate before the first version."""
+    t = prelim.truth(h, prelim.matches(h).select("pred_id", "obj").distinct())
+    first = h.vers.filter(F.col("ver") == INITIAL).select("obj", "ver", F.lit(0).alias("pos"), F.lit(INITIAL).cast("long").alias("txn_id"))
+    placed = order.select("obj", "ver", "pos", "txn_id").unionByName(first).join(t, ["obj", "ver"])
     was = F.coalesce(F.lag("holds").over(W.partitionBy("pred_id", "obj").orderBy("pos")), F.lit(False))
-    return t.withColumn("flips", F.col("holds") != was)
+    return placed.withColumn("flips", F.col("holds") != was)
 
 
-def pred_deps(h: History, order: DataFrame) -> DataFrame:
-    """Predicate read- and anti-dependencies of a complete history, whose predicate reads know every version: the latest
-    flip at or before the version read precedes the reader, and the reader precedes the earliest flip after it."""
-    flips = theta_flips(h, order)
+def serial_theta_reads(h: History) -> DataFrame:
+    """(txn_id, pred_id, obj, ver): the version that each predicate read sees if transactions ran in the order of their end times, of
+    objects some version of which matches: with these a history is complete."""
+    from orderproof.plans.global_order import running_all
+
+    pairs = prelim.matches(h).select("pred_id", "obj").distinct()
+    asks = prelim.asked(h).join(prelim.committed(h).select("txn_id", "e"), "txn_id").join(pairs, "pred_id")
+    none = F.lit(None).cast("struct<e:long,txn_id:long,ver:long>")
+    points = asks.select("obj", "e", "txn_id", "pred_id", none.alias("w"))
+    points = points.unionByName(prelim.installed(h).select("obj", "e", "txn_id", F.lit(None).cast("int").alias("pred_id"), F.struct("e", "txn_id", "ver").alias("w")))
+    # a read stands before its own transaction's writes
+    seen = running_all(points.withColumn("o", F.col("w").isNotNull().cast("int")), "e", ["txn_id", "o"], {"last": ("max", F.col("w"), True)}, ["obj"])
+    return seen.filter("o = 0").select("txn_id", "pred_id", "obj", F.coalesce("last.ver", F.lit(INITIAL)).cast("long").alias("ver"))
+
+
+def pred_deps(h: History, order: DataFrame | None = None, reads: DataFrame | None = None) -> DataFrame:
+    """Predicate read- and anti-dependencies of a complete history: the latest flip at or before the version read precedes the
+    reader, and the reader precedes the earliest flip after it. By default the history is completed in the order of end times."""
+    flips = theta_flips(h, version_order(h) if order is None else order)
     spans = W.partitionBy("pred_id", "obj").orderBy("pos")
     last = F.last(F.when(F.col("flips"), F.col("txn_id")), ignorenulls=True).over(spans.rowsBetween(W.unboundedPreceding, 0))
     nxt = F.first(F.when(F.col("flips"), F.col("txn_id")), ignorenulls=True).over(spans.rowsBetween(1, W.unboundedFollowing))
     first = F.first("txn_id").over(spans.rowsBetween(W.unboundedPreceding, W.unboundedFollowing))
     at = flips.select("pred_id", "obj", "ver", F.coalesce(last, first).alias("before"), nxt.alias("after"))
-    r = h.ops.filter("kind = 'pr' AND ver IS NOT NULL").join(prelim.committed(h).select("txn_id"), "txn_id").join(at, ["pred_id", "obj", "ver"])
-    wr = _edges(r.select(F.col("before").alias("src"), F.col("txn_id").alias("dst"), "obj"), "pwr")
+    r = (serial_theta_reads(h) if reads is None else reads).join(at, ["pred_id", "obj", "ver"])
+    wr = _edges(r.filter(F.col("before") != INITIAL).select(F.col("before").alias("src"), F.col("txn_id").alias("dst"), "obj"), "pwr")
     rw = _edges(r.filter("after IS NOT NULL").select(F.col("txn_id").alias("src"), F.col("after").alias("dst"), "obj"), "prw")
     return wr.unionByName(rw)
 
@@ -94,22 +111,35 @@ def first_wave(at: str, rows: DataFrame, later: DataFrame, keys: list[str]) -> D
     """For each row the later transactions on the same keys that begin at or after `at` and before the earliest end of any of
     these: what begins after that follows from a time edge. later: keys, dst, ds, de.
 
-    The earliest end is a suffix minimum by start, so one as-of pass gives the bound and one bucketed join the edges.
+    In start order these are consecutive places. One sorted pass counts the places before each row and takes the earliest end
+    behind it, a second one counts the places before that end; the places are then made, as many as there are edges.
     """
-    suffix = W.partitionBy(*keys).orderBy(F.desc("x"), F.desc("kind")).rowsBetween(W.unboundedPreceding, 0)
-    points = rows.select(*keys, F.col(at).alias("x"), F.lit(0).alias("kind"), F.lit(None).cast("long").alias("de"), F.struct(*rows.columns).alias("row"))
-    marks = later.select(*keys, F.col("ds").alias("x"), F.lit(1).alias("kind"), "de", F.lit(None).cast(points.schema["row"].dataType).alias("row"))
-    bound = points.unionAll(marks).withColumn("bound", F.min("de").over(suffix)).filter("kind = 0 AND bound IS NOT NULL")
-    return bound.select("row.*", "bound").join(later, keys).filter(F.col("ds").between(F.col(at), F.col("bound") - 1))
+    from orderproof.plans.global_order import running_all
+    from orderproof.sources.scratch import written
+
+    mark = F.col("row").isNull()
+    row = F.struct(*rows.columns)
+    kind = rows.select(row.alias("row")).schema["row"].dataType
+    marks = later.select(*keys, F.col("ds").alias("x"), F.lit(1).alias("o"), "dst", "de", F.lit(None).cast(kind).alias("row"))
+    points = rows.select(*keys, F.col(at).alias("x"), F.lit(0).alias("o"), F.lit(None).cast("long").alias("dst"), F.lit(None).cast("long").alias("de"), row.alias("row"))
+    one = F.when(mark, 1).otherwise(0)
+    # a row stands before marks of the same time: those count as later ones
+    passed = written(running_all(points.unionByName(marks), "x", ["o", "dst"], {"upto": ("sum", one, True), "bound": ("min", F.col("de"), False)}, keys))
+    places = passed.filter(mark).select(*keys, (F.col("upto") - 1).alias("place"), "dst", F.col("x").alias("ds"), "de")
+    open_ = passed.filter(~mark & F.col("bound").isNotNull()).select(*keys, F.col("bound").alias("x"), F.lit(0).alias("o"), F.col("upto").alias("first"), "row")
+    ends = open_.unionByName(marks.select(*keys, "x", "o", "row"), allowMissingColumns=True)
+    upto = running_all(ends, "x", ["o"], {"stop": ("sum", one, True)}, keys).filter(~mark)
+    made = upto.filter("stop > first").select(*keys, "row", F.explode(F.sequence("first", F.col("stop") - 1)).alias("place"))
+    return made.join(places, [*keys, "place"]).select("row.*", "dst", "ds", "de")
 
 
 def time_edges(h: History) -> DataFrame:
     """First-wave time edges; their closure is all of them. Found by rank, so no range join is needed."""
     from orderproof.plans.bounds import bounds
 
-    b = bounds(h).filter("wave >= r + 1")
-    ahead = b.select(F.col("txn_id").alias("src"), F.explode(F.sequence(F.col("r") + 1, F.col("wave"))).alias("j"))
-    return ahead.join(bounds(h).select(F.col("idx").alias("j"), F.col("txn_id").alias("dst")), "j").select("src", "dst")
+    every = bounds(h)
+    ahead = every.filter("wave >= r + 1").select(F.col("txn_id").alias("src"), F.explode(F.sequence(F.col("r") + 1, F.col("wave"))).alias("j"))
+    return ahead.join(every.select(F.col("idx").alias("j"), F.col("txn_id").alias("dst")), "j").select("src", "dst")
 
 
 def rw_from_wr(h: History) -> DataFrame:

@@ -5,7 +5,8 @@ Every equi-join is on (obj, ver) or txn_id; nothing here is quadratic.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from orderproof.schema import INITIAL, History
@@ -50,37 +51,123 @@ def orphan_reads(h: History) -> DataFrame:
     return reads(h).filter(F.col("ver") != INITIAL).join(h.ops.filter("kind = 'w'").select("obj", "ver"), ["obj", "ver"], "left_anti").select(F.col("txn_id").alias("reader"), "obj", "ver")
 
 
+def own_reads(h: History) -> DataFrame:
+    """(reader, obj, ver) where a transaction read an object that it had written and didn't see its own last write, or read a version
+    that it wrote only later. Reads come in the order of op_seq."""
+    mine = W.partitionBy("txn_id", "obj").orderBy("op_seq", "kind")
+    before = F.last(F.when(F.col("kind") == "w", F.col("ver")), ignorenulls=True).over(mine.rowsBetween(W.unboundedPreceding, -1))
+    later = F.max(F.when(F.col("kind") == "w", F.lit(True))).over(W.partitionBy("txn_id", "obj", "ver"))
+    seen = h.ops.filter("ver IS NOT NULL").withColumn("own", before).withColumn("later", later)
+    bad = seen.filter("kind <> 'w'").filter((F.col("own") != F.col("ver")) | (F.col("own").isNull() & F.coalesce("later", F.lit(False))))
+    return bad.select("txn_id", "obj", "ver").distinct().join(committed(h).select("txn_id"), "txn_id").select(F.col("txn_id").alias("reader"), "obj", "ver")
+
+
 def duplicate_versions(h: History) -> DataFrame:
     """(obj, ver, n) written more than once."""
     return h.ops.filter("kind = 'w'").groupBy("obj", "ver").agg(F.count("*").alias("n")).filter("n > 1")
 
 
-def findings(h: History) -> DataFrame:
+def findings(h: History, predicates: bool = True) -> DataFrame:
     """(reason, reader, obj, ver): every read that no serial order explains."""
     tell = lambda df, why: df.select(F.lit(why).alias("reason"), "reader", "obj", "ver")
-    return tell(aborted_reads(h), "aborted_read").unionAll(tell(intermediate_reads(h), "intermediate_read")).unionAll(tell(orphan_reads(h), "orphan_read"))
+    out = tell(aborted_reads(h), "aborted_read").unionAll(tell(intermediate_reads(h), "intermediate_read")).unionAll(tell(orphan_reads(h), "orphan_read")).unionAll(tell(own_reads(h), "own_read"))
+    if predicates and h.preds is not None:
+        out = out.unionAll(tell(own_theta_reads(h), "own_predicate")).unionAll(tell(false_returns(h), "false_return"))
+    return out
 
 
 def domain(obj) -> F.col:
     return F.split_part(obj, F.lit(":"), F.lit(1))
 
 
+def _meets() -> Column:
+    """Whether a version (v1, v2, deleted) meets a predicate (col, lo, hi)."""
+    value = F.when(F.col("col") == "v1", F.col("v1")).otherwise(F.col("v2"))
+    return F.coalesce(~F.col("deleted") & value.between(F.col("lo"), F.col("hi")), F.lit(False))
+
+
 def theta(h: History) -> DataFrame:
-    """(pred_id, obj, ver, holds) for every predicate and version of its domain; a deleted version meets none."""
+    """(pred_id, obj, ver, holds) for every predicate and version of its domain; a deleted version meets none. As many rows as pairs;
+    the verifier uses matches() and truth() instead."""
     of = h.preds.join(h.vers.withColumn("domain", domain(F.col("obj"))), "domain")
-    value = F.when(F.col("col") == "v1", F.col("v1")).otherwise(F.col("v2"))
-    return of.select("pred_id", "obj", "ver", F.coalesce(~F.col("deleted") & value.between(F.col("lo"), F.col("hi")), F.lit(False)).alias("holds"))
+    return of.select("pred_id", "obj", "ver", _meets().alias("holds"))
+
+
+def matches(h: History) -> DataFrame:
+    """(pred_id, obj, ver) for versions that meet a predicate.
+
+    A range is dealt to the two buckets at most that it touches, of a width between one and two times its own, and a version to its
+    bucket of each width that occurs: the join grows with the matches and not with predicates times versions.
+    """
+    level = F.greatest(F.lit(-20), F.ceil(F.log2(F.col("hi") - F.col("lo")))).cast("int")
+    preds = h.preds.filter("lo <= hi").withColumn("level", F.when(F.col("hi") > F.col("lo"), level).otherwise(F.lit(-20)))
+    levels = [r.level for r in preds.select("level").distinct().collect()]  # powers of two: a hundred or so at most
+    at = lambda x: F.floor(x / F.pow(F.lit(2.0), F.col("level"))).cast("long")
+    asked = preds.withColumn("bucket", F.explode(F.sequence(at(F.col("lo")), at(F.col("hi")))))
+    value = F.stack(F.lit(2), F.lit("v1"), F.col("v1"), F.lit("v2"), F.col("v2")).alias("col", "value")
+    held = h.vers.filter("NOT deleted").select(domain(F.col("obj")).alias("domain"), "obj", "ver", value).filter("value IS NOT NULL AND NOT isnan(value)")
+    held = held.withColumn("level", F.explode(F.lit(levels).cast("array<int>"))).withColumn("bucket", at(F.col("value")))
+    return asked.join(held, ["domain", "col", "level", "bucket"]).filter(F.col("value").between(F.col("lo"), F.col("hi"))).select("pred_id", "obj", "ver")
+
+
+def truth(h: History, pairs: DataFrame) -> DataFrame:
+    """(pred_id, obj, ver, holds) for all versions of the given pairs (pred_id, obj)."""
+    return pairs.join(h.vers, "obj").join(h.preds, "pred_id").select("pred_id", "obj", "ver", _meets().alias("holds"))
+
+
+def asked(h: History) -> DataFrame:
+    """(txn_id, pred_id, at): each predicate read and its place; a pred_id stands for one read of a transaction."""
+    return h.ops.filter("kind = 'pr'").groupBy("txn_id", "pred_id").agg(F.min("op_seq").alias("at"))
+
+
+def own_theta(h: History) -> DataFrame:
+    """(txn_id, pred_id, obj, ver): predicate reads of objects that the reader had written before: they see its last write."""
+    mine = h.ops.filter("kind = 'w'").select("txn_id", "obj", "ver", "op_seq").join(asked(h), "txn_id").filter("op_seq < at")
+    return mine.groupBy("txn_id", "pred_id", "obj").agg(F.max_by("ver", "op_seq").alias("ver"))
+
+
+def own_theta_reads(h: History) -> DataFrame:
+    """(reader, obj, ver) where a predicate read left out the reader's own write although it matches."""
+    known = h.ops.filter("kind = 'pr' AND ver IS NOT NULL").select("txn_id", "pred_id", "obj")
+    own = own_theta(h).join(known, ["txn_id", "pred_id", "obj"], "left_anti").join(committed(h).select("txn_id"), "txn_id")
+    of = own.join(h.vers.select("obj", "ver", "v1", "v2", "deleted"), ["obj", "ver"]).join(h.preds.withColumnRenamed("domain", "of"), "pred_id").filter(domain(F.col("obj")) == F.col("of"))
+    return of.filter(_meets()).select(F.col("txn_id").alias("reader"), "obj", "ver").distinct()
+
+
+def false_returns(h: History) -> DataFrame:
+    """(reader, obj, ver) where a predicate read returned a version that doesn't match."""
+    known = h.ops.filter("kind = 'pr' AND ver IS NOT NULL").select("txn_id", "pred_id", "obj", "ver").join(committed(h).select("txn_id"), "txn_id")
+    of = known.join(h.vers.select("obj", "ver", "v1", "v2", "deleted"), ["obj", "ver"]).join(h.preds, "pred_id")
+    return of.filter(~_meets()).select(F.col("txn_id").alias("reader"), "obj", "ver").distinct()
 
 
 def theta_reads(h: History) -> DataFrame:
     """(txn_id, pred_id, obj, ver): each predicate read over all objects of its domain; ver is null where no match was returned."""
-    asked = h.ops.filter("kind = 'pr'").select("txn_id", "pred_id").distinct()
     objects = h.vers.select("obj", domain(F.col("obj")).alias("domain")).distinct()
-    every = asked.join(h.preds.select("pred_id", "domain"), "pred_id").join(objects, "domain").select("txn_id", "pred_id", "obj")
+    every = asked(h).join(h.preds.select("pred_id", "domain"), "pred_id").join(objects, "domain").select("txn_id", "pred_id", "obj")
     known = h.ops.filter("kind = 'pr' AND ver IS NOT NULL").select("txn_id", "pred_id", "obj", "ver")
     return every.join(known, ["txn_id", "pred_id", "obj"], "left")
 
 
 def unknown_theta_reads(h: History) -> DataFrame:
     """Predicate reads of objects whose seen version isn't known."""
-    return theta_reads(h).filter("ver IS NULL").join(committed(h).select("txn_id", "s", "e"), "txn_id").drop("ver")
+    own = own_theta(h).select("txn_id", "pred_id", "obj")
+    unknown = theta_reads(h).filter("ver IS NULL").join(own, ["txn_id", "pred_id", "obj"], "left_anti")
+    return unknown.join(committed(h).select("txn_id", "s", "e"), "txn_id").drop("ver")
+
+
+def open_theta_reads(h: History) -> DataFrame:
+    """Those unknown predicate reads that mean anything, as unknown_theta_reads() gives them: of objects some version of which
+    matches. Any version explains the others."""
+    pairs = matches(h).select("pred_id", "obj").distinct()
+    every = asked(h).select("txn_id", "pred_id").join(pairs, "pred_id")
+    keys = ["txn_id", "pred_id", "obj"]
+    known = h.ops.filter("kind = 'pr' AND ver IS NOT NULL").select(*keys).unionAll(own_theta(h).select(*keys))
+    return every.join(known, keys, "left_anti").join(committed(h).select("txn_id", "s", "e"), "txn_id").select("txn_id", "pred_id", "obj", "s", "e")
+
+
+def lowered(h: History, writes_by: DataFrame) -> History:
+    """h with predicate writes as writes of the rows they changed. writes_by: (txn_id, op_seq, pred_id, obj, ver) says which rows a
+    predicate operation of that place changed and which versions it left; it also reads them, as the predicate read it is."""
+    ops = writes_by.select("txn_id", F.col("op_seq").cast("int"), F.lit("w").alias("kind"), "obj", "ver", F.lit(None).cast("int").alias("pred_id"), F.lit(None).cast("long").alias("op_s"), F.lit(None).cast("long").alias("op_e"))
+    return h.but(ops=h.ops.unionByName(ops))

@@ -6,83 +6,235 @@ import time
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from orderproof.baselines import small
+from orderproof.baselines import polygraph, protocol, small
+from orderproof.functions import cdcl
 from orderproof.functions import closure as cl
+from orderproof.functions.solver import solve
 from orderproof.histories import build, fixtures
 from orderproof.operators import constraints as cs
+from orderproof.operators import prelim
 from orderproof.plans import verify
+from orderproof.plans.global_order import ranked
 from orderproof.schema import History
+from orderproof.sources.scratch import written
+
+METHODS = ["timed", "polygraph", "frontier", "protocol"]
+
+
+def detection(spark: SparkSession, make=fixtures.rows) -> DataFrame:
+    """(name, class, timed, polygraph, frontier, protocol): whether each method rejects each of the 36 anomalies, which stand side by side
+    in one history. The protocol checker's null is that it abstains, for want of operation times."""
+    kinds = fixtures.anomalies()
+    names = list(kinds)
+    h = fixtures.together(spark, names, make)
+    h = h.but(txns=written(h.txns), ops=written(h.ops))
+    step = fixtures.STEP
+    case = lambda c: F.floor(F.col(c) / step).cast("long")
+    own = lambda b: b.withColumn("island", case("txn_id"))
+    hit = lambda df, m: df.select("case_no").distinct().withColumn(m, F.lit(True))
+    bad = verify.by_island(h).filter("NOT ok").select(case("first").alias("case_no"))
+    timed = hit(bad.unionAll(prelim.findings(h).select(case("reader").alias("case_no"))), "timed")
+    poly = hit(verify.by_island(h, timed=False, predicates=False, cut=own).filter("NOT ok").select(case("first").alias("case_no")), "polygraph")
+    front = hit(small.run(h, lambda t, x: {"f": small.frontier(t)}, step).filter("value = 0"), "frontier")
+    flagged = hit(protocol.overlapping_updates(h).select(case("i").alias("case_no")), "flagged")
+    times = h.ops.groupBy(case("txn_id").alias("case_no")).agg((F.count("op_s") == F.count("*")).alias("told"))
+    out = spark.createDataFrame([(k, n, kinds[n]) for k, n in enumerate(names)], "case_no long, name string, class string")
+    for df in (timed, poly, front, flagged, times):
+        out = out.join(df, "case_no", "left")
+    no = lambda c: F.coalesce(c, F.lit(False)).alias(c)
+    return out.select("name", "class", no("timed"), no("polygraph"), no("frontier"), F.when(F.col("told"), F.coalesce("flagged", F.lit(False))).alias("protocol"))
 
-CASES = ["aborted_read", "dirty_write", "write_skew", "phantom"]
 
+def detection_cube(spark: SparkSession) -> DataFrame:
+    """Anomalies and those found, by class and in all."""
+    d = detection(spark)
+    return d.rollup("class").agg(F.count("*").alias("anomalies"), *(F.count_if(m).alias(m) for m in METHODS)).withColumn("class", F.coalesce("class", F.lit("all")))
 
-def detection(spark: SparkSession, names: list[str] = CASES) -> DataFrame:
-    """(name, class, timed, frontier): whether each method rejects each anomaly."""
-    rows = []
-    for n in names:
-        h, _ = fixtures.get(spark, n)
-        kind = (fixtures.ITEM.get(n) or fixtures.PREDICATE[n])[0]
-        frontier = {r.measure: r.value for r in small.run(h, lambda t, x: {"f": small.frontier(t)}).collect()}["f"]
-        rows.append((n, kind, not verify.timed(h).head().serializable, not frontier))
-    return spark.createDataFrame(rows, "name string, class string, timed boolean, frontier boolean")
 
+def detection_pivot(spark: SparkSession) -> DataFrame:
+    """Share found, a row a method and a column a class."""
+    long = detection(spark).unpivot(["class"], METHODS, "method", "found")
+    return long.groupBy("method").pivot("class", ["RAT", "WAT", "IAT", "Real"]).agg(F.round(F.count_if("found") / F.count("*"), 4))
 
-#: True answers: to the frontier search an aborted write is one of nobody, and times and predicates play no part in it.
-DETECTION_SQL = """SELECT * FROM (VALUES ('aborted_read', 'RAT', true, true), ('dirty_write', 'WAT', true, false),
-('write_skew', 'IAT', true, true), ('phantom', 'RAT', true, false)) t(name, class, timed, frontier)"""
-CUBE_SQL = f"SELECT coalesce(class, 'all') AS class, count(*) AS anomalies, count(*) FILTER (timed) AS timed, count(*) FILTER (frontier) AS frontier FROM ({DETECTION_SQL}) GROUP BY ROLLUP (class)"
 
+#: What is true of the fixtures: none is serializable, so a method without gaps finds all.
+TRUTH = ", ".join(f"('{n}', '{c}')" for n, c in fixtures.anomalies().items())
+TIMED_SQL = f"SELECT name, class, true AS timed FROM (VALUES {TRUTH}) t(name, class)"
 
-def detection_cube(spark: SparkSession) -> DataFrame:
-    """Anomalies and those found, by class and in all."""
-    d = detection(spark)
-    count = lambda c: F.count(F.when(F.col(c), 1)).alias(c)
-    return d.rollup("class").agg(F.count("*").alias("anomalies"), count("timed"), count("frontier")).withColumn("class", F.coalesce("class", F.lit("all")))
+
+def histories(spark: SparkSession, sf_dir: str) -> dict[str, History]:
+    """The five histories of the constraint comparison."""
+    out = {m: build.registers(spark, sf_dir, m) for m in ("wh", "wr", "rh")}
+    return out | {"social": build.social(spark, sf_dir), "orders": build.orders_mix(spark, sf_dir)}
+
+
+def constraint_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(workload, total, overlapping): pairs of writers over all objects, and those that client times leave open."""
+    out = None
+    for name, h in histories(spark, sf_dir).items():
+        total = cs.item_pair_counts(h).agg(F.coalesce(F.sum("pairs"), F.lit(0)).alias("total")).withColumn("one", F.lit(1))
+        left = cs.item_pairs(h).agg(F.count("*").alias("overlapping")).withColumn("one", F.lit(1))
+        row = total.join(left, "one").select(F.lit(name).alias("workload"), "total", "overlapping")
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+#: Pairs up to which the polygraph baseline is run: it makes them all.
+POLYGRAPH_PAIRS = 5_000_000
 
 
 def constraint_reduction(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(workload, total, overlapping, residual): pairs of writers, those that overlap, and what pruning leaves to the search."""
+    """(workload, total, polygraph, overlapping, residual): pairs of writers; what pruning by reachability along read dependencies alone
+    leaves of them (null: more than POLYGRAPH_PAIRS, not run); pairs that overlap, joined over objects; and what pruning leaves of these
+    to the search."""
     out = None
-    for name, h in (("rh", build.registers(spark, sf_dir, "rh")), ("wr", build.registers(spark, sf_dir, "wr")), ("wh", build.registers(spark, sf_dir, "wh"))):
+    for name, h in histories(spark, sf_dir).items():
+        h = h.but(txns=written(h.txns), ops=written(h.ops))
         total = cs.item_pair_counts(h).agg(F.coalesce(F.sum("pairs"), F.lit(0)).alias("total")).withColumn("one", F.lit(1))
         left = verify.timed(h).select("constraints", "residual").withColumn("one", F.lit(1))
-        row = total.join(left, "one").select(F.lit(name).alias("workload"), "total", F.col("constraints").alias("overlapping"), "residual")
+        many = (total.head().total or 0) > POLYGRAPH_PAIRS
+        poly = spark.range(1).select(F.lit(None).cast("long").alias("polygraph")) if many else polygraph.residual(h).agg(F.count("*").alias("polygraph"))
+        poly = poly.withColumn("one", F.lit(1))
+        row = total.join(left, "one").join(poly, "one").select(F.lit(name).alias("workload"), "total", "polygraph", F.col("constraints").alias("overlapping"), "residual")
         out = row if out is None else out.unionAll(row)
     return out
 
 
-def closure_costs(h: History) -> DataFrame:
-    """(method, pairs, seconds) for building the closure of the known graph and time; pairs agree between methods."""
+def constraint_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Constraint counts by workload and stage with their sums: (workload, stage, n)."""
+    long = constraint_counts(spark, sf_dir).unpivot(["workload"], ["total", "overlapping"], "stage", "n")
+    return long.groupingSets([["workload", "stage"], ["stage"]], "workload", "stage").agg(F.sum("n").alias("n")).withColumn("workload", F.coalesce("workload", F.lit("all")))
+
+
+def _graph(h: History) -> DataFrame:
     t = h.txns.filter("status = 'c'").select(F.lit("t").alias("kind"), F.col("txn_id").alias("a"), F.lit(None).cast("long").alias("b"), "s", "e")
     none = F.lit(None).cast("long")
-    k = verify.known_edges(h, True).select(F.lit("k").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), none.alias("s"), none.alias("e"))
+    return t.unionAll(verify.known_edges(h, True).select(F.lit("k").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), none.alias("s"), none.alias("e")))
+
+
+def _indexed(pdf: pd.DataFrame) -> tuple[list, list, list]:
+    t = pdf[pdf.kind == "t"].sort_values(["s", "a"])
+    at = {int(x): i for i, x in enumerate(t.a)}
+    edges = [(at[int(u)], at[int(v)]) for u, v in zip(*(pdf.loc[pdf.kind == "k", c] for c in "ab"), strict=True)]
+    return [int(x) for x in t.s], [int(x) for x in t.e], edges
+
+
+BUILDS = ["timed_purdom", "timed_italiano", "timed_dict", "purdom", "italiano", "warshall"]
+
+
+def closure_costs(h: History, methods: list[str] = BUILDS) -> DataFrame:
+    """(method, pairs, cells, seconds) for building the closure of the known graph and time. Only the building is timed; what it needs
+    (successor lists; for the full ones all time edges) is made before, and pairs, which agree between methods, are counted after."""
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
-        t = pdf[pdf.kind == "t"].sort_values(["s", "a"])
-        at = {int(x): i for i, x in enumerate(t.a)}
-        s, e, n = [int(x) for x in t.s], [int(x) for x in t.e], len(t)
-        edges = [(at[int(u)], at[int(v)]) for u, v in zip(*(pdf.loc[pdf.kind == "k", c] for c in "ab"), strict=True)]
-        full = edges + [(i, j) for i in range(n) for j in range(n) if e[i] <= s[j]]
-
-        def build_timed():
-            b = cl.Band(s, e)
-            b.build([{v for u, v in edges if u == i} for i in range(n)])
-            return sum(b.reach(i, j) for i in range(n) for j in range(n) if i != j)
-
-        def insert_timed():
-            b = cl.Band(s, e)
+        s, e, edges = _indexed(pdf)
+        n = len(s)
+        succ = [set() for _ in range(n)]
+        for u, v in edges:
+            succ[u].add(v)
+        full = [*edges, *((i, j) for i in range(n) for j in range(n) if e[i] <= s[j])]
+
+        def grown(kind):
+            b = kind(s, e)
             for u, v in edges:
                 b.insert(u, v)
-            return sum(b.reach(i, j) for i in range(n) for j in range(n) if i != j)
+            return b
 
-        bits = lambda rows: sum(r.bit_count() for r in rows)
+        def built(kind):
+            b = kind(s, e)
+            b.build(succ)
+            return b
+
+        how = {
+            "timed_purdom": lambda: built(cl.Band), "timed_italiano": lambda: grown(cl.Band), "timed_dict": lambda: built(cl.DictBand),
+            "purdom": lambda: cl.purdom(n, full), "italiano": lambda: cl.italiano(n, full), "warshall": lambda: cl.warshall(n, full),
+        }
         rows = []
-        for name, f in (("timed_purdom", build_timed), ("timed_italiano", insert_timed), ("purdom", lambda: bits(cl.purdom(n, full))), ("italiano", lambda: bits(cl.italiano(n, full))), ("warshall", lambda: bits(cl.warshall(n, full)))):
+        for name in methods:
             began = time.perf_counter()
-            pairs = f()
-            rows.append((name, int(pairs), time.perf_counter() - began))
-        return pd.DataFrame(rows, columns=["method", "pairs", "seconds"])
+            got = how[name]()
+            took = time.perf_counter() - began
+            if isinstance(got, cl.Band):  # what a row doesn't hold is reachable by time
+                pairs, cells = sum(got.row[i].bit_count() + n - 1 - got.r[i] for i in range(n)), got.cells()
+            else:
+                pairs, cells = sum(r.bit_count() for r in got), n * n
+            rows.append((name, int(pairs), int(cells), took))
+        return pd.DataFrame(rows, columns=["method", "pairs", "cells", "seconds"])
+
+    return _graph(h).groupBy(F.lit(0).alias("one")).applyInPandas(work, "method string, pairs long, cells long, seconds double")
+
+
+def update_costs(h: History, batch: int = 50) -> DataFrame:
+    """(method, pairs, looked, seconds) for adding the read dependencies one by one to the closure of time: in the band, in a full closure
+    edge by edge, or by making the full one anew after each `batch` edges. looked: rows that the band's insertions considered, of
+    n times as many in a full one."""
 
-    return t.unionAll(k).groupBy(F.lit(0).alias("one")).applyInPandas(work, "method string, pairs long, seconds double")
+    def work(pdf: pd.DataFrame) -> pd.DataFrame:
+        s, e, edges = _indexed(pdf)
+        n = len(s)
+        by_time = [(i, j) for i in range(n) for j in range(n) if e[i] <= s[j]]
+        rows = []
+        began = time.perf_counter()
+        b = cl.Band(s, e)
+        for u, v in edges:
+            b.insert(u, v)
+        rows.append(("timed", sum(b.row[i].bit_count() + n - 1 - b.r[i] for i in range(n)), b.looked, time.perf_counter() - began))
+        began = time.perf_counter()
+        rows.append(("italiano", sum(r.bit_count() for r in cl.italiano(n, by_time + edges)), n * len(edges), time.perf_counter() - began))
+        began = time.perf_counter()
+        for k in range(batch, len(edges) + batch, batch):
+            full = cl.purdom(n, by_time + edges[:k])
+        rows.append(("rebuild", sum(r.bit_count() for r in full), n * len(edges), time.perf_counter() - began))
+        return pd.DataFrame([(a, int(b), int(c), d) for a, b, c, d in rows], columns=["method", "pairs", "looked", "seconds"])
+
+    return _graph(h).groupBy(F.lit(0).alias("one")).applyInPandas(work, "method string, pairs long, looked long, seconds double")
+
+
+def solver_costs(h: History, budget_s: float = 20.0, largest_plain: int = 40) -> DataFrame:
+    """(island, txns, method, answer, variables, clauses, literals, conflicts, seconds): the islands of a history, without pruning, by the
+    solver of this library and by three encodings for a general one, formulas included. The plain encoding's cubic formula isn't made
+    for islands of more than `largest_plain` transactions (answer null)."""
+    kind = "island long, txns long, method string, answer boolean, variables long, clauses long, literals long, conflicts long, seconds double"
+
+    def compare(s, e, known, cons):
+        out = []
+        began = time.perf_counter()
+        got = solve(s, e, known, cons, prune=False, budget_s=budget_s)
+        out.append(("theory", got.ok, None, None, None, got.conflicts, time.perf_counter() - began))
+        for name, run in cdcl.ENCODINGS.items():
+            began = time.perf_counter()
+            answer, size, conflicts = (None, (None,) * 3, 0) if name == "plain" and len(s) > largest_plain else run(s, e, known, cons, budget_s=budget_s)
+            out.append((name, answer, *size, conflicts, time.perf_counter() - began))
+        return out
+
+    return verify.on_islands(h, compare, kind)
+
+
+def prefixes(h: History, shares: int = 10) -> DataFrame:
+    """(step, txns, pairs): histories of the first tenths of the transactions, by start: their number, and the overlapping pairs of writers
+    of an object, which is what is left to decide."""
+    place = ranked(h.txns.filter("status = 'c'").select("txn_id", "s"), "s", ["txn_id"])
+    n = F.lit(place.count())
+    step = F.least(F.lit(shares), F.floor(F.col("idx") * shares / n) + 1).cast("int")
+    of = written(place.select("txn_id", step.alias("step")))
+    pairs = cs.item_pairs(h).join(of.select(F.col("txn_id").alias("i"), F.col("step").alias("si")), "i").join(of.select(F.col("txn_id").alias("j"), F.col("step").alias("sj")), "j")
+    count = lambda df, name: df.groupBy("step").agg(F.count("*").alias(name))
+    met = count(of, "own").join(count(pairs.select(F.greatest("si", "sj").alias("step")), "more"), "step", "left")
+    upto = W.orderBy("step").rowsBetween(W.unboundedPreceding, 0)  # a row a step
+    return met.select("step", F.sum("own").over(upto).alias("txns"), F.coalesce(F.sum("more").over(upto), F.lit(0)).alias("pairs"))
+
+
+def scaling(spark: SparkSession, h: History, shares: list[float]) -> DataFrame:
+    """(txns, seconds, largest_island, constraints, cells): the verifier on prefixes of a history. cells: of the islands' closures, which
+    is the memory that grows."""
+    rows, total = [], h.txns.count()
+    for x in shares:
+        part = build.prefix(h, int(total * x))
+        part = part.but(txns=written(part.txns), ops=written(part.ops))
+        began = time.perf_counter()
+        got = verify.timed(part).head()
+        rows.append((int(total * x), time.perf_counter() - began, got.largest_island, got.constraints, got.cells))
+    return spark.createDataFrame(rows, "txns long, seconds double, largest_island long, constraints long, cells long")

@@ -11,24 +11,26 @@ from orderproof.operators import constraints as cs
 from orderproof.operators import deps, prelim
 from orderproof.plans import islands
 from orderproof.plans.bounds import bounds
+from orderproof.plans.global_order import ranked, running_all
 from orderproof.schema import INITIAL, History
-from orderproof.sources.scratch import written
+from orderproof.sources.scratch import scope, written
 
-ISLAND = "island long, txns long, ok boolean, reason string, constraints long, residual long, conflicts long, decisions long, cells long, cycle array<struct<src:long,dst:long>>, ord array<long>"
+ISLAND = "island long, txns long, ok boolean, reason string, constraints long, residual long, conflicts long, decisions long, cells long, first long, cycle array<struct<src:long,dst:long,kind:string>>, ord array<long>"
 ROWS = "kind string, a long, b long, s long, e long, cid string, opt string, via_src long, via_dst long"
 
 
-def constraint_rows(h: History, timed: bool, predicates: bool) -> DataFrame:
-    """(cid, opt, src, dst, via_src, via_dst): options of all constraints; an option without edges has a row with null ends."""
-    sets = cs.coalesced(cs.item_edge_sets(h, cs.item_pairs(h, timed)))
+def constraint_rows(h: History, timed: bool, predicates: bool, avoid: str = "sound", overlap: bool = True) -> DataFrame:
+    """(cid, opt, src, dst, via_src, via_dst): options of all constraints; an option without edges has a row with null ends.
+    avoid: sound, none or literal (which may turn a verdict round); overlap: only pairs of writers that overlap in time."""
+    sets = cs.coalesced(cs.item_edge_sets(h, cs.item_pairs(h, timed and overlap)))
     none = F.lit(None).cast("long")
     out = sets.select("cid", F.col("side").cast("string").alias("opt"), "src", "dst", none.alias("via_src"), none.alias("via_dst"))
     if predicates and h.preds is not None:
-        unknown = written(cs.unmet(h) if timed else prelim.unknown_theta_reads(h))
+        unknown = written(cs.unmet(h) if timed and avoid == "sound" else prelim.open_theta_reads(h))
         p = every = cs.predicate(h, unknown)
-        if timed:
+        if timed and avoid != "none":
             every = written(every)
-            p = cs.avoided(h, every)
+            p = cs.avoided(h, every) if avoid == "sound" else cs.avoided_literally(h, every)
         first = F.col("via_src") == INITIAL  # the initial version is overwritten by every other one
         keep = F.col("src") != INITIAL
         p = p.select(
@@ -48,10 +50,11 @@ def known_edges(h: History, timed: bool) -> DataFrame:
     return edges.distinct()
 
 
-def by_island(h: History, timed: bool = True, predicates: bool = True, cut: str = "back_edge", **search) -> DataFrame:
-    """One row per island that time and known edges don't settle by themselves: what the worker found (see ISLAND)."""
+def island_rows(h: History, timed: bool = True, predicates: bool = True, cut="back_edge", avoid: str = "sound", overlap: bool = True) -> DataFrame:
+    """The islands that time and known edges don't settle by themselves, as rows (island, *ROWS) of transactions, known edges and
+    constraints. cut: back_edge, epoch, none, or what gives the bounds an island."""
     b = bounds(h)
-    edges, rows = written(known_edges(h, timed)), written(constraint_rows(h, timed, predicates))
+    edges, rows = written(known_edges(h, timed)), written(constraint_rows(h, timed, predicates, avoid, overlap))
     place = b.select("txn_id", "idx")
     at = lambda df, c: df.join(place.select(F.col("txn_id").alias(c), F.col("idx").alias(f"{c}_at")), c, "left")
     placed = written(at(at(edges, "src"), "dst"))
@@ -59,7 +62,9 @@ def by_island(h: History, timed: bool = True, predicates: bool = True, cut: str
     members = rows.select("cid", F.explode(F.array("src", "dst", "via_src", "via_dst")).alias("txn_id")).filter("txn_id IS NOT NULL").distinct().join(place, "txn_id")
     members = written(members)
     spans = members.groupBy("cid").agg(F.min("idx").alias("low"), F.max("idx").alias("high"))
-    if cut == "none":
+    if callable(cut):
+        cut_b = cut(b)
+    elif cut == "none":
         cut_b = b.withColumn("island", F.lit(0).cast("long"))
     else:
         cover = back.unionAll(spans.select("low", "high"))
@@ -75,40 +80,101 @@ def by_island(h: History, timed: bool = True, predicates: bool = True, cut: str
     home = members.join(of, "txn_id").groupBy("cid").agg(F.min("island").alias("island"))
     c = rows.join(home, "cid").select("island", F.lit("c").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), *null("s", "e"), "cid", "opt", "via_src", "via_dst")
 
+    return t.unionAll(k).unionAll(c)
+
+
+def _island(pdf: pd.DataFrame) -> tuple[list[int], list[int], list[int], list, list]:
+    """(ids by start, starts, ends, known edges, constraints) of an island's rows."""
+    t = pdf[pdf.kind == "t"].sort_values(["s", "a"])
+    ids = [int(x) for x in t.a]
+    at = {x: i for i, x in enumerate(ids)}
+    known = [(at[int(x)], at[int(y)]) for x, y in zip(*(pdf.loc[pdf.kind == "k", c] for c in "ab"), strict=True)]
+    options: dict[str, dict[str, list]] = {}
+    for r in pdf[pdf.kind == "c"].itertuples():
+        of = options.setdefault(r.cid, {})
+        if r.opt == "none":  # nothing can be chosen
+            continue
+        edges = of.setdefault(r.opt, [])
+        if pd.notna(r.a):
+            via = (at[int(r.via_src)], at[int(r.via_dst)]) if pd.notna(r.via_src) else None
+            edges.append((at[int(r.a)], at[int(r.b)], via))
+    return ids, [int(x) for x in t.s], [int(x) for x in t.e], known, [list(o.values()) for _, o in sorted(options.items())]
+
+
+def on_islands(h: History, work, kind: str, **cut) -> DataFrame:
+    """work(starts, ends, known, constraints) -> rows on each island; kind: island, txns and what the rows have."""
+    names = [x.split()[0] for x in kind.split(", ")]
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        ids, *island = _island(pdf)
+        return pd.DataFrame([(int(key[0]), len(ids), *row) for row in work(*island)], columns=names)
+
+    return island_rows(h, **cut).groupBy("island").applyInPandas(run, kind)
+
+
+def by_island(h: History, timed: bool = True, predicates: bool = True, cut="back_edge", avoid: str = "sound", overlap: bool = True, **search) -> DataFrame:
+    """One row per island: what the worker found (see ISLAND). search: budget_s, time_first, prune and layout of solver.solve()."""
+    from orderproof.functions.closure import Band
+
     def decide(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        t = pdf[pdf.kind == "t"].sort_values(["s", "a"])
-        ids = [int(x) for x in t.a]
-        at = {x: i for i, x in enumerate(ids)}
-        known = [(at[int(x)], at[int(y)]) for x, y in zip(*(pdf.loc[pdf.kind == "k", c] for c in "ab"), strict=True)]
-        options: dict[str, dict[str, list]] = {}
-        for r in pdf[pdf.kind == "c"].itertuples():
-            edges = options.setdefault(r.cid, {}).setdefault(r.opt, [])
-            if pd.notna(r.a):
-                via = (at[int(r.via_src)], at[int(r.via_dst)]) if pd.notna(r.via_src) else None
-                edges.append((at[int(r.a)], at[int(r.b)], via))
-        cons = [list(o.values()) for _, o in sorted(options.items())]
-        out = solve([int(x) for x in t.s], [int(x) for x in t.e], known, cons, timed, **search)
-        from orderproof.functions.closure import Band
-
-        cells = Band([int(x) for x in t.s], [int(x) for x in t.e], timed).cells()
-        cycle = [{"src": ids[u], "dst": ids[v]} for u, v in out.cycle]
-        row = (int(key[0]), len(ids), out.ok, out.reason, len(cons), out.left, out.conflicts, out.decisions, cells, cycle, [ids[i] for i in out.order])
+        ids, s, e, known, cons = _island(pdf)
+        out = solve(s, e, known, cons, timed, **search)
+        sure = set(known)
+        tell = lambda u, v, kind: "time" if kind == "time" else "known" if (u, v) in sure else "chosen"
+        cycle = [{"src": ids[u], "dst": ids[v], "kind": tell(u, v, kind)} for u, v, kind in out.cycle]
+        row = (int(key[0]), len(ids), out.ok, out.reason, len(cons), out.left, out.conflicts, out.decisions, Band(s, e, timed).cells(), ids[0], cycle, [ids[i] for i in out.order])
         return pd.DataFrame([row], columns=[x.split()[0] for x in ISLAND.split(", ")])
 
-    return t.unionAll(k).unionAll(c).groupBy("island").applyInPandas(decide, ISLAND)
+    return island_rows(h, timed, predicates, cut, avoid, overlap).groupBy("island").applyInPandas(decide, ISLAND)
+
+
+def witness(h: History, **search) -> DataFrame:
+    """(txn_id, place): an order that explains the history, places from 0. Islands come one after the other, those that need no
+    search in the order of their starts. Only where timed() accepts."""
+    with scope(h.txns.sparkSession) as kept:
+        h = h.but(txns=written(h.txns), ops=written(h.ops))
+        b = written(bounds(h).select("txn_id", "idx"))
+        found = written(by_island(h, **search).select("island", "ord"))
+        placed = found.select("island", F.posexplode("ord").alias("pos", "txn_id"))
+        met = b.join(placed, "txn_id", "left").select("txn_id", F.coalesce("island", "idx").alias("at"), F.coalesce("pos", F.lit(0)).alias("pos"))
+        return kept(ranked(met, "at", ["pos", "txn_id"], "place").select("txn_id", "place"))
+
+
+def replay(h: History, order: DataFrame) -> DataFrame:
+    """(txn_id, op_seq, obj, ver, sees): what each read of a committed transaction sees if the transactions run one after the other in
+    `order` (txn_id, place)."""
+    rows = h.ops.filter("obj IS NOT NULL").join(order, "txn_id").withColumn("wrote", F.when(F.col("kind") == "w", F.col("ver")))
+    keyed = rows.withColumn("at", F.col("place"))
+    # a running last value: the greatest (place, op_seq) of a write so far, and its version
+    last = F.when(F.col("wrote").isNotNull(), F.struct("place", "op_seq", "wrote"))
+    seen = running_all(keyed, "at", ["op_seq", "kind"], {"last": ("max", last, True)}, ["obj"])
+    return seen.filter("kind <> 'w' AND ver IS NOT NULL").select("txn_id", "op_seq", "obj", "ver", F.coalesce("last.wrote", F.lit(INITIAL)).cast("long").alias("sees"))
+
+
+def witness_cycles(h: History, **search) -> DataFrame:
+    """(island, reason, step, src, dst, kind): the edges of one cycle of each island that can't be serialised, in order; kind is known,
+    chosen (the last option of a constraint) or time."""
+    bad = by_island(h.but(txns=written(h.txns), ops=written(h.ops)), **search).filter("NOT ok")
+    return bad.select("island", "reason", F.posexplode("cycle").alias("step", "x")).select("island", "reason", "step", "x.*")
 
 
 def timed(h: History, use_time_edges: bool = True, predicates: bool = True, read_checks: bool = True, **search) -> DataFrame:
-    """One row: serializable (null: out of time), reason, islands, largest_island, constraints, residual."""
-    h = h.but(txns=written(h.txns), ops=written(h.ops))
+    """One row: serializable (null: out of time), reason, islands, largest_island, constraints, residual, cells (of the islands' closures).
+    It is decided when this is called, and the tables on the way are removed."""
+    with scope(h.txns.sparkSession) as kept:
+        return kept(_timed(h.but(txns=written(h.txns), ops=written(h.ops)), use_time_edges, predicates, read_checks, **search))
+
+
+def _timed(h: History, use_time_edges: bool, predicates: bool, read_checks: bool, **search) -> DataFrame:
     found = by_island(h, use_time_edges, predicates, **search)
     parts = found.agg(
         F.count("*").alias("islands"), F.coalesce(F.max("txns"), F.lit(0)).alias("largest_island"), F.coalesce(F.sum("constraints"), F.lit(0)).alias("constraints"),
-        F.coalesce(F.sum("residual"), F.lit(0)).alias("residual"), F.max(F.when(~F.col("ok"), F.col("reason"))).alias("bad"), F.max(F.when(F.col("ok").isNull(), F.lit("timeout"))).alias("late"),
+        F.coalesce(F.sum("residual"), F.lit(0)).alias("residual"), F.coalesce(F.sum("cells"), F.lit(0)).alias("cells"), F.max(F.when(~F.col("ok"), F.col("reason"))).alias("bad"), F.max(F.when(F.col("ok").isNull(), F.lit("timeout"))).alias("late"),
     )
-    reads = (prelim.findings(h) if read_checks else prelim.findings(h).filter("false")).agg(F.min("reason").alias("read"))
+    reads = prelim.findings(h, predicates) if read_checks else prelim.findings(h, False).filter("false")
+    reads = reads.agg(F.min("reason").alias("read"))
     both = parts.withColumn("one", F.lit(1)).join(reads.withColumn("one", F.lit(1)), "one")  # a row each
     reason = F.coalesce("read", "bad", "late")
     return both.select(
-        F.when(reason.isNull(), True).when(reason == "timeout", F.lit(None)).otherwise(False).alias("serializable"), reason.alias("reason"), "islands", "largest_island", "constraints", "residual"
+        F.when(reason.isNull(), True).when(reason == "timeout", F.lit(None)).otherwise(False).alias("serializable"), reason.alias("reason"), "islands", "largest_island", "constraints", "residual", "cells"
     )

@@ -6,9 +6,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderproof.baselines import polygraph, protocol, small
-from orderproof.histories import build, fixtures, texts
+from orderproof.histories import build, cases, fixtures, inject, schedulers, texts
+from orderproof.operators import complete, deps, encodings, prelim
 from orderproof.operators import constraints as cs
-from orderproof.operators import deps, prelim
 from orderproof.plans import islands, measures, verify
 from orderproof.plans.bounds import bounds, layout
 from orderproof.streaming import live
@@ -66,23 +66,42 @@ PRED = texts.predicate_rows("duckdb")
 THETA = "th AS (SELECT p.pred_id, v.obj, v.ver, CASE WHEN p.col = 'v1' THEN v.v1 ELSE v.v2 END BETWEEN p.lo AND p.hi AS holds FROM prs p, vers v)"
 UNK = """asks AS (SELECT DISTINCT txn_id, pred_id FROM ops WHERE kind = 'pr'), allr AS (SELECT a.txn_id, a.pred_id, o.obj FROM asks a, (SELECT DISTINCT obj FROM vers) o),
 tr AS (SELECT a.*, o.ver FROM allr a LEFT JOIN ops o ON o.kind = 'pr' AND o.txn_id = a.txn_id AND o.pred_id = a.pred_id AND o.obj = a.obj)"""
-CAND = """unk AS (SELECT tr.txn_id AS reader, pred_id, obj FROM tr WHERE ver IS NULL),
-wr AS (SELECT i.obj, th.pred_id, i.txn_id, th.holds FROM inst i JOIN th ON th.obj = i.obj AND th.ver = i.ver UNION ALL SELECT obj, pred_id, 0, holds FROM th WHERE ver = 0),
+OPEN = """rel AS (SELECT DISTINCT pred_id, obj FROM th WHERE holds),
+unk AS (SELECT a.txn_id AS reader, a.pred_id, r.obj FROM (SELECT DISTINCT txn_id, pred_id FROM ops WHERE kind = 'pr') a JOIN rel r ON r.pred_id = a.pred_id
+  WHERE NOT EXISTS (SELECT 1 FROM ops o WHERE o.kind = 'pr' AND o.txn_id = a.txn_id AND o.pred_id = a.pred_id AND o.obj = r.obj))"""
+CAND = """few AS (SELECT DISTINCT pred_id, obj FROM unk),
+wr AS (SELECT i.obj, th.pred_id, i.txn_id, th.holds FROM few JOIN th ON th.pred_id = few.pred_id AND th.obj = few.obj JOIN inst i ON i.obj = th.obj AND i.ver = th.ver
+  UNION ALL SELECT th.obj, th.pred_id, 0, holds FROM few JOIN th ON th.pred_id = few.pred_id AND th.obj = few.obj WHERE ver = 0),
 fa AS (SELECT u.reader, u.pred_id, u.obj, w.txn_id AS cand FROM unk u JOIN wr w ON w.obj = u.obj AND w.pred_id = u.pred_id AND NOT w.holds WHERE w.txn_id <> u.reader),
-cd AS (SELECT reader, obj, cand, cand AS src, reader AS dst, cast(NULL AS bigint) AS via_src, cast(NULL AS bigint) AS via_dst, pred_id FROM fa
-  UNION ALL SELECT f.reader, f.obj, f.cand, f.reader, w.txn_id, f.cand, w.txn_id, f.pred_id FROM fa f JOIN wr w ON w.obj = f.obj AND w.pred_id = f.pred_id AND w.holds WHERE w.txn_id <> f.cand AND w.txn_id <> 0)"""
+op AS (SELECT f.reader, f.obj, f.cand, w.txn_id AS dst FROM fa f JOIN wr w ON w.obj = f.obj AND w.pred_id = f.pred_id AND w.holds WHERE w.txn_id <> f.cand AND w.txn_id <> 0 AND w.txn_id <> f.reader)"""
+#: Versions of each object in order, the initial one at place 0, with the truth of each predicate that some version meets.
+FLIPS = """vo AS (SELECT obj, ver, txn_id, e, row_number() OVER (PARTITION BY obj ORDER BY e, txn_id) AS pos FROM inst UNION ALL SELECT obj, ver, 0, -4611686018427387904, 0 FROM vers WHERE ver = 0),
+fl AS (SELECT th.pred_id, th.obj, vo.pos, vo.txn_id, vo.e, th.holds <> coalesce(lag(th.holds) OVER (PARTITION BY th.pred_id, th.obj ORDER BY vo.pos), false) AS flips
+  FROM rel JOIN th ON th.pred_id = rel.pred_id AND th.obj = rel.obj JOIN vo ON vo.obj = th.obj AND vo.ver = th.ver),
+asks2 AS (SELECT DISTINCT o.txn_id AS reader, o.pred_id, c.e FROM ops o JOIN com c ON c.txn_id = o.txn_id WHERE o.kind = 'pr'),
+rp AS (SELECT a.reader, r.pred_id, r.obj, (SELECT max(v.pos) FROM vo v WHERE v.obj = r.obj AND (v.e < a.e OR v.e = a.e AND v.txn_id < a.reader)) AS pos FROM asks2 a JOIN rel r ON r.pred_id = a.pred_id),
+fx AS (SELECT *, last_value(CASE WHEN flips THEN txn_id END IGNORE NULLS) OVER (PARTITION BY pred_id, obj ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto,
+  first_value(CASE WHEN flips THEN txn_id END IGNORE NULLS) OVER (PARTITION BY pred_id, obj ORDER BY pos ROWS BETWEEN 1 FOLLOWING AND UNBOUNDED FOLLOWING) AS nxt,
+  first_value(txn_id) OVER (PARTITION BY pred_id, obj ORDER BY pos) AS fst FROM fl)"""
+_many = lambda df, by, **more: df.groupBy(*by).agg(*(x.alias(n) for n, x in more.items()))
 
 
 def _pred(name: str, run, select: str) -> None:
-    _add(name, lambda spark, d: run(build.predicate_rows(spark, d)), f"WITH {PRED}, {BASE}, {THETA}, {UNK}, {CAND}\n{select}")
+    _add(name, lambda spark, d: run(build.predicate_rows(spark, d)), f"WITH {PRED}, {BASE}, {THETA}, {UNK}, {OPEN}, {CAND}, {FLIPS}\n{select}")
 
 
 _pred("pred_ops", lambda h: h.ops.select("txn_id", "op_seq", "kind", "obj", "ver", "pred_id"), "SELECT txn_id, op_seq, kind, obj, ver, pred_id FROM ops")
-_pred("theta_truth", prelim.theta, "SELECT * FROM th")
-_pred("theta_reads_expanded", lambda h: prelim.theta_reads(h).select("txn_id", "pred_id", "obj", "ver"), "SELECT txn_id, pred_id, obj, ver FROM tr")
-_pred("unknown_theta_reads", lambda h: prelim.unknown_theta_reads(h).select("txn_id", "pred_id", "obj"), "SELECT txn_id, pred_id, obj FROM tr WHERE ver IS NULL")
-_pred("pred_candidates", lambda h: cs.predicate(h).filter("via_src IS NULL").select("reader", "obj", "cand", "src", "dst"), "SELECT reader, obj, cand, src, dst FROM cd WHERE via_src IS NULL")
-_pred("pred_undetermined", lambda h: cs.predicate(h).filter("via_src IS NOT NULL").select("reader", "obj", "cand", "dst", "via_src"), "SELECT reader, obj, cand, dst, via_src FROM cd WHERE via_src IS NOT NULL")
+_pred("theta_truth", lambda h: _many(prelim.theta(h), ["pred_id"], versions=F.count("*"), matching=F.count_if("holds")), "SELECT pred_id, count(*) AS versions, count(*) FILTER (holds) AS matching FROM th GROUP BY ALL")
+_pred("theta_matches", prelim.matches, "SELECT pred_id, obj, ver FROM th WHERE holds")
+_pred("theta_reads_expanded", lambda h: _many(prelim.theta_reads(h), ["txn_id", "pred_id"], objects=F.count("*"), known=F.count("ver")), "SELECT txn_id, pred_id, count(*) AS objects, count(ver) AS known FROM tr GROUP BY ALL")
+_pred("unknown_theta_reads", lambda h: _many(prelim.unknown_theta_reads(h), ["txn_id", "pred_id"], objects=F.count("*")), "SELECT txn_id, pred_id, count(*) AS objects FROM tr WHERE ver IS NULL GROUP BY ALL")
+_pred("open_theta_reads", lambda h: _many(prelim.open_theta_reads(h), ["txn_id", "pred_id"], objects=F.count("*")), "SELECT reader AS txn_id, pred_id, count(*) AS objects FROM unk GROUP BY ALL")
+_pred("pred_candidates", lambda h: _many(cs.predicate(h).filter("via_src IS NULL"), ["reader"], candidates=F.count("*"), total=F.sum("cand")), "SELECT reader, count(*) AS candidates, cast(sum(cand) AS bigint) AS total FROM fa GROUP BY ALL")
+_pred("pred_undetermined", lambda h: _many(cs.predicate(h).filter("via_src IS NOT NULL"), ["reader"], edges=F.count("*"), total=F.sum(F.col("dst") - F.col("via_src"))), "SELECT reader, count(*) AS edges, cast(sum(dst - cand) AS bigint) AS total FROM op GROUP BY ALL")
+_pred("pred_wr", lambda h: _many(deps.pred_deps(h).filter("etype = 'pwr'"), ["dst"], edges=F.count("*"), total=F.sum("src")),
+      "SELECT dst, count(*) AS edges, cast(sum(src) AS bigint) AS total FROM (SELECT DISTINCT coalesce(upto, fst) AS src, reader AS dst, fx.obj FROM rp JOIN fx ON fx.pred_id = rp.pred_id AND fx.obj = rp.obj AND fx.pos = rp.pos) WHERE src <> 0 AND src <> dst GROUP BY ALL")
+_pred("pred_rw", lambda h: _many(deps.pred_deps(h).filter("etype = 'prw'"), ["src"], edges=F.count("*"), total=F.sum("dst")),
+      "SELECT src, count(*) AS edges, cast(sum(dst) AS bigint) AS total FROM (SELECT DISTINCT reader AS src, nxt AS dst, fx.obj FROM rp JOIN fx ON fx.pred_id = rp.pred_id AND fx.obj = rp.obj AND fx.pos = rp.pos) WHERE dst IS NOT NULL AND src <> dst GROUP BY ALL")
 _add("pred_avoided", lambda spark, d: _avoided(build.predicate_rows(spark, d)))
 _pred("verdict_serial_predicates", lambda h: verify.timed(h).select("serializable"), "SELECT true AS serializable")
 
@@ -171,24 +190,148 @@ for m in ("rh", "wr", "wh"):
 _add("verdict_read_uncommitted", lambda spark, d: verify.timed(build.registers(spark, d, "wr", "ru")).select("serializable", "reason"), "SELECT false AS serializable, 'aborted_read' AS reason")
 _add("verdict_serial_orders", lambda spark, d: verify.timed(build.orders_mix(spark, d)).select("serializable"), "SELECT true AS serializable")
 _add("verdict_serial_social", lambda spark, d: verify.timed(build.social(spark, d)).select("serializable"), "SELECT true AS serializable")
-_add("worked_example_complete", lambda spark, d: small.run(fixtures.get(spark, "worked_example")[0], _complete), "SELECT 'complete' AS measure, 72 AS value UNION ALL SELECT 'serializable', 0")
+_add("worked_example_complete", lambda spark, d: small.run(fixtures.get(spark, "worked_example")[0], _complete).drop("case_no"), "SELECT 'complete' AS measure, 72 AS value UNION ALL SELECT 'serializable', 0")
 _add("worked_example_verdicts", lambda spark, d: _verdicts(spark, ["worked_example"]), "SELECT 'worked_example' AS name, false AS timed, false AS two_stage, false AS serial_orders, true AS frontier, 'accept' AS without_predicates")
-_add("detection", lambda spark, d: measures.detection(spark), measures.DETECTION_SQL)
-_add("detection_cube", lambda spark, d: measures.detection_cube(spark), measures.CUBE_SQL)
+_add("detection", lambda spark, d: measures.detection(spark))
+_add("detection_timed", lambda spark, d: measures.detection(spark).select("name", "class", "timed"), measures.TIMED_SQL)
+_add("detection_cube", lambda spark, d: measures.detection_cube(spark))
+_add("detection_rate_pivot", lambda spark, d: measures.detection_pivot(spark))
+_add("false_alarms", lambda spark, d: measures.detection(spark, fixtures.twin).agg(F.count("*").alias("histories"), F.count_if("timed").alias("rejected")), "SELECT 36 AS histories, 0 AS rejected")
+_add("verdict_small_bruteforce", lambda spark, d: cases.agreement(spark).select("cases", "wrong"), "SELECT 2000 AS cases, 0 AS wrong")
 
 # -- baselines
-_con("protocol_overlapping_writes", protocol.overlapping_updates, "SELECT obj, i, j FROM pr")
-_con("protocol_verdict", lambda h: protocol.verify(h), "SELECT CASE WHEN count(*) > 0 THEN 'reject' ELSE 'accept' END AS verdict, count(*) AS flagged FROM pr")
+UPD = """(SELECT a.obj, a.txn_id AS i, b.txn_id AS j FROM up a JOIN up b ON a.obj = b.obj AND a.txn_id < b.txn_id AND a.op_s < b.e AND b.op_s < a.e)"""
+UP = "up AS (SELECT w.txn_id, w.obj, w.op_s, c.e FROM (SELECT txn_id, obj, arg_max(op_s, op_seq) AS op_s FROM ops WHERE kind = 'w' GROUP BY ALL) w JOIN com c USING (txn_id))"
+for label, run, sql in (
+    ("protocol_overlapping_writes", protocol.overlapping_updates, f"SELECT obj, i, j FROM {UPD}"),
+    ("protocol_verdict", protocol.verify, f"SELECT CASE WHEN count(*) > 0 THEN 'reject' ELSE 'accept' END AS verdict, count(*) AS flagged FROM {UPD}"),
+):
+    _add(label, lambda spark, d, run=run: run(build.registers(spark, d, "wr")), f"WITH {WR}, {BASE}, {UP}\n{sql}")
 _add("protocol_abstains", lambda spark, d: protocol.verify(fixtures.get(spark, "lost_update")[0]).select("verdict"), "SELECT 'abstain' AS verdict")
 _add("polygraph_verdict_small", lambda spark, d: polygraph.verify(build.registers(spark, d, "wr")).select("serializable"), "SELECT true AS serializable")
 
+_add("verdict_by_protocol", lambda spark, d: schedulers.verdicts(spark).filter("protocol <> 'snapshot'"),
+     "SELECT * FROM (VALUES ('two_phase_locking', 300, 0), ('optimistic', 300, 0), ('timestamp_ordering', 300, 0), ('serializable_snapshot', 300, 0)) t(protocol, runs, rejected)")
+
+# -- complete histories
+_add("history_differences", lambda spark, d: complete.differences(build.registers(spark, d, "wr"), build.registers(spark, d, "wr", "snapshot")).select("txn_id", "op_seq", "obj"),
+     "SELECT a.txn_id, a.op_seq, a.obj FROM (WITH {} SELECT * FROM ops) a JOIN (WITH {} SELECT * FROM ops) b ON a.txn_id = b.txn_id AND a.op_seq = b.op_seq AND a.obj = b.obj AND a.kind = b.kind WHERE a.ver <> b.ver".format(WR, texts.registers("duckdb", "wr", "snapshot")))
+_add("complete_is_serializable", lambda spark, d: _complete_verdict(build.registers(spark, d, "wr")), "SELECT true AS serializable, 0 AS bad_reads, 0 AS cyclic")
+_add("complete_with_predicates", lambda spark, d: _complete_verdict(build.predicate_rows(spark, d)), "SELECT true AS serializable, 0 AS bad_reads, 0 AS cyclic")
+_add("verdict_by_isolation", lambda spark, d: _by_isolation(spark, d))
+_con("compatible_graph", lambda h: _chosen(h), """SELECT DISTINCT st.src, st.dst FROM st JOIN com a ON a.txn_id = st.i JOIN com b ON b.txn_id = st.j
+  WHERE st.side = CASE WHEN a.e < b.e OR a.e = b.e AND a.txn_id < b.txn_id THEN 0 ELSE 1 END""")
+_pred("validation_constraints", lambda h: _many(complete.validation(h), ["reader"], options=F.count("*"), before=F.sum("before"), after=F.coalesce(F.sum("after"), F.lit(0))),
+      """SELECT u.reader, count(*) AS options, cast(sum(coalesce(upto, fst)) AS bigint) AS before, cast(coalesce(sum(nxt), 0) AS bigint) AS after FROM unk u
+  JOIN fx ON fx.pred_id = u.pred_id AND fx.obj = u.obj JOIN vo ON vo.obj = fx.obj AND vo.pos = fx.pos JOIN th ON th.pred_id = u.pred_id AND th.obj = vo.obj AND th.ver = vo.ver WHERE NOT th.holds AND fx.txn_id <> u.reader GROUP BY ALL""")
+
+# -- injected anomalies
+for kind in ("stale_read", "lost_update", "write_skew", "aborted_read"):
+    for k in (1, 3):
+        _add(f"verdict_injected_{kind}_{k}", lambda spark, d, kind=kind, k=k: verify.timed(inject.apply(build.registers(spark, d, "wr"), kind, k)).select("serializable"), "SELECT false AS serializable")
+_add("injected_operations", lambda spark, d: _injected(build.registers(spark, d, "wr")), "SELECT 'lost_update' AS kind, 12 AS changed UNION ALL SELECT 'write_skew', 18 UNION ALL SELECT 'stale_read', 3")
+
+# -- witnesses
+_con("witness_replays", lambda h: _replayed(h), "SELECT (SELECT count(*) FROM com) AS txns, (SELECT count(*) FROM ops o JOIN com c USING (txn_id) WHERE o.kind <> 'w') AS reads, 0 AS wrong")
+_add("witness_cycles", lambda spark, d: verify.witness_cycles(inject.write_skew(build.registers(spark, d, "wr"), 2)).groupBy("reason", "kind").agg(F.count("*").alias("edges")))
+
 # -- measures
-_add("constraint_reduction", lambda spark, d: measures.constraint_reduction(spark, d))
+FIVE = [(m, texts.registers("duckdb", m)) for m in ("wh", "wr", "rh")] + [("social", texts.social("duckdb")), ("orders", texts.orders_mix("duckdb"))]
+
+
+def _five(stages: dict[str, str]) -> str:
+    """One SELECT a workload and stage, each with its history."""
+    return " UNION ALL ".join(
+        f"SELECT * FROM (WITH {ctes}, {BASE} SELECT '{name}' AS workload, {', '.join(f'({sql}) AS {stage}' for stage, sql in stages.items())})" for name, ctes in FIVE
+    )
+
+
+TOTAL_SQL = "SELECT cast(coalesce(sum(w * (w - 1) / 2), 0) AS bigint) FROM (SELECT count(DISTINCT txn_id) AS w FROM inst GROUP BY obj)"
+OPEN_SQL = "SELECT count(*) FROM inst a JOIN inst b ON a.obj = b.obj AND a.txn_id < b.txn_id AND a.s < b.e AND b.s < a.e"
+COUNTS_SQL = _five({"total": TOTAL_SQL, "overlapping": OPEN_SQL})
+_add("constraint_counts", measures.constraint_counts, COUNTS_SQL)
+_add("constraint_reduction", measures.constraint_reduction)
+_add("constraint_reduction_rollup", measures.constraint_rollup,
+     f"WITH c AS ({COUNTS_SQL}), l AS (SELECT workload, 'total' AS stage, total AS n FROM c UNION ALL SELECT workload, 'overlapping', overlapping FROM c) SELECT coalesce(workload, 'all') AS workload, stage, cast(sum(n) AS bigint) AS n FROM l GROUP BY GROUPING SETS ((workload, stage), (stage))")
 _add("closure_costs", lambda spark, d: measures.closure_costs(build.registers(spark, d, "wr")))
+#: All pairs in the closure, by a recursion along read edges, first-wave time edges and edges that these settle.
+CLOSURE_SQL = f"""WITH RECURSIVE {WR}, {BASE}, wre AS ({WR_SQL}), rwe AS ({FIRST}),
+te AS (SELECT a.txn_id AS src, b.txn_id AS dst FROM com a JOIN (SELECT x.txn_id, (SELECT min(c.e) FROM com c WHERE c.s >= x.e) AS bound FROM com x) m ON m.txn_id = a.txn_id JOIN com b ON b.s >= a.e AND b.s < m.bound),
+ed AS (SELECT src, dst FROM te UNION SELECT src, dst FROM wre UNION SELECT src, dst FROM rwe),
+cl AS (SELECT src, dst FROM ed UNION SELECT cl.src, ed.dst FROM cl JOIN ed ON ed.src = cl.dst)
+SELECT (SELECT count(*) FROM cl) AS pairs, (SELECT count(*) FROM com) AS txns"""
+_add("compact_closure_pairs", lambda spark, d: _closure_pairs(build.registers(spark, d, "wr")), CLOSURE_SQL)
+_add("closure_update_costs", lambda spark, d: measures.update_costs(build.registers(spark, d, "wr")))
+_add("solver_costs", lambda spark, d: measures.solver_costs(build.registers(spark, d, "wr")))
+_con("cnf_sizes", lambda h: encodings.sizes(h), """SELECT 'reduced_items' AS encoding, count(*) AS variables, 0 AS clauses, 0 AS literals FROM (SELECT DISTINCT i, j FROM pr)
+UNION ALL SELECT 'edge_variables', 2 * p + e, 2 * p + 2 * p + n, 3 * n + 2 * p + 4 * p FROM
+  (SELECT (SELECT count(*) FROM (SELECT DISTINCT i, j FROM pr)) AS p, (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM st)) AS e, (SELECT count(*) FROM (SELECT DISTINCT i, j, side, src, dst FROM st)) AS n)
+UNION ALL SELECT enc, 2 * p + e + t * (t - 1), 4 * p + n + t * (t - 1) + c * t * (t - 1) * (t - 2), 3 * n + 6 * p + 2 * t * (t - 1) + 3 * c * t * (t - 1) * (t - 2) FROM
+  (SELECT (SELECT count(*) FROM (SELECT DISTINCT i, j FROM pr)) AS p, (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM st)) AS e, (SELECT count(*) FROM (SELECT DISTINCT i, j, side, src, dst FROM st)) AS n,
+   (SELECT count(*) FROM (SELECT src AS t FROM st UNION SELECT dst FROM st)) AS t), (VALUES ('plain', 1), ('plain_without_transitivity', 0)) v(enc, c)""")
+_add("cnf_sizes_predicates", lambda spark, d: encodings.reduced_predicates(cs.predicate(build.predicate_rows(spark, d))),
+     f"""WITH {PRED}, {BASE}, {THETA}, {UNK}, {OPEN}, {CAND}, k AS (SELECT reader, pred_id, obj, count(*) AS k FROM fa GROUP BY ALL),
+o AS (SELECT f.reader, f.pred_id, f.obj, count(*) AS n FROM fa f JOIN wr w ON w.obj = f.obj AND w.pred_id = f.pred_id AND w.holds WHERE w.txn_id <> f.cand AND w.txn_id <> 0 AND w.txn_id <> f.reader GROUP BY ALL)
+SELECT 'reduced_predicates' AS encoding, cast(sum(k + coalesce(n, 0)) AS bigint) AS variables, cast(sum(1 + k * (k - 1) / 2 + coalesce(n, 0)) AS bigint) AS clauses, cast(sum(k + k * (k - 1) + 3 * coalesce(n, 0)) AS bigint) AS literals
+FROM k LEFT JOIN o USING (reader, pred_id, obj)""")
+_add("scaling_counts", lambda spark, d: measures.prefixes(build.orders_mix(spark, d)),
+     f"""WITH {texts.orders_mix("duckdb")}, {BASE}, p AS (SELECT txn_id, least(10, (row_number() OVER (ORDER BY s, txn_id) - 1) * 10 // (SELECT count(*) FROM com) + 1) AS step FROM com),
+q AS (SELECT greatest(x.step, y.step) AS step FROM inst a JOIN inst b ON a.obj = b.obj AND a.txn_id < b.txn_id AND a.s < b.e AND b.s < a.e JOIN p x ON x.txn_id = a.txn_id JOIN p y ON y.txn_id = b.txn_id)
+SELECT k.step, (SELECT count(*) FROM p WHERE p.step <= k.step) AS txns, (SELECT count(*) FROM q WHERE q.step <= k.step) AS pairs FROM (SELECT DISTINCT step FROM p) k""")
+_add("pruned_item_counts", lambda spark, d: verify.timed(build.registers(spark, d, "wh")).select("constraints", "residual"))
+_add("scaling", lambda spark, d: measures.scaling(spark, build.orders_mix(spark, d), [0.1, 0.5, 1.0]))
 
 # -- streams
 _add("stream_window_reads", live.window_reads, live.WINDOW_SQL)
+_add("stream_sliding_windows", live.sliding_counts, live.SLIDING_SQL)
+_add("stream_session_windows", live.sessions, live.SESSION_SQL)
 _add("stream_dedup", live.dedup, "SELECT count(*) AS n FROM events")
+_add("stream_wr_edges", lambda spark, d: live.wr_edges(spark, build.registers(spark, d, "wr")), f"WITH {WR}, {BASE}\n{WR_SQL}")
+_add("stream_object_state", lambda spark, d: live.object_versions(spark, build.registers(spark, d, "wr")),
+     f"WITH {WR}, {BASE} SELECT obj, count(*) FILTER (o.kind = 'w') AS writes, count(*) FILTER (o.kind <> 'w') AS readers FROM ops o JOIN com USING (txn_id) GROUP BY ALL")
+_add("stream_static_predicates", lambda spark, d: live.matched_predicates(spark, build.predicate_rows(spark, d)), f"WITH {PRED} SELECT pred_id, count(*) AS n FROM ops WHERE kind = 'pr' AND ver IS NOT NULL GROUP BY ALL")
+_add("stream_verdicts_equal_batch", lambda spark, d: live.online(spark, build.registers(spark, d, "wr")), f"WITH {WR}, {BASE} SELECT true AS serializable, false AS provisional, count(*) AS decided FROM com")
+
+
+def _complete_verdict(h) -> DataFrame:
+    return complete.is_serializable(h, deps.version_order(h), deps.serial_theta_reads(h) if h.preds is not None else None).select("serializable", "bad_reads", "cyclic")
+
+
+def _by_isolation(spark: SparkSession, d: str) -> DataFrame:
+    """(level, serializable, verdict): the register history under each simulated level, by the test for complete histories with the order
+    of ends as version order, and by the verifier, which knows no version order."""
+    out = None
+    for level in ("serial", "snapshot", "rc", "ru"):
+        h = build.registers(spark, d, "wr", level)
+        one = lambda df: df.withColumn("one", F.lit(1))
+        row = one(_complete_verdict(h).select("serializable")).join(one(verify.timed(h).select(F.col("serializable").alias("verdict"))), "one").select(F.lit(level).alias("level"), "serializable", "verdict")
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+def _chosen(h) -> DataFrame:
+    sets = cs.coalesced(cs.item_edge_sets(h, cs.item_pairs(h)))
+    return complete.chosen_graph(sets, complete.by_end(sets, h))
+
+
+def _injected(h) -> DataFrame:
+    """Operations that three injections of each kind changed."""
+    out = None
+    for kind in ("lost_update", "write_skew", "stale_read"):
+        row = inject.changed(h, inject.apply(h, kind, 3)).agg(F.count("*").alias("changed")).select(F.lit(kind).alias("kind"), "changed")
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+def _replayed(h) -> DataFrame:
+    order = verify.witness(h)
+    reads = verify.replay(h, order).agg(F.count("*").alias("reads"), F.count_if(F.col("ver") != F.col("sees")).alias("wrong"))
+    return order.agg(F.count("*").alias("txns")).withColumn("one", F.lit(1)).join(reads.withColumn("one", F.lit(1)), "one").drop("one")
+
+
+def _closure_pairs(h) -> DataFrame:
+    got = measures.closure_costs(h, ["timed_purdom"])
+    return got.select("pairs").withColumn("one", F.lit(1)).join(prelim.committed(h).agg(F.count("*").alias("txns")).withColumn("one", F.lit(1)), "one").drop("one")
 
 
 def _avoided(h) -> DataFrame:

@@ -14,9 +14,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def views(spark: SparkSession, sf_dir: str, *names: str) -> None:
-    """Registers source tables as temporary views for the history texts."""
+    """Registers source tables as temporary views for the history texts, under names that no user's view has."""
     for n in names:
-        table(spark, sf_dir, n).createOrReplaceTempView(n)
+        table(spark, sf_dir, n).createOrReplaceTempView(f"orderproof_{n}")
 
 
 def client_log(spark: SparkSession, path: str, form: str = "json") -> tuple[DataFrame, DataFrame]:
