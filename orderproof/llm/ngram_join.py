@@ -9,13 +9,16 @@ shares a bucket with; later only members of different components are, so a group
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import addressed, components, hashed_words, mix64, released, small, staged, text_slices
+from orderproof.llm.common import addressed, components, hashed_words, mix64, released, small, staged, text_slices, trimmed
 
 SKETCH_WORDS = 16  # of 64 bits
 WAVES = 4
@@ -62,8 +65,9 @@ def bands(percent: int, most: int) -> np.ndarray:
     return np.array([*out, -(-out[-1] * 3 // 2)])
 
 
-def join_keys(row: np.ndarray, h: np.ndarray, size: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """(row, key) for sorted sets. A set takes part in the group of its band, and in the next one if a partner can lie there."""
+def join_keys(row: np.ndarray, h: np.ndarray, size: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row, key, cut, need) for sorted sets. A set takes part in the group of its band (cut 0), and in the next one if a partner can lie
+    there (1); 2 and 3 are second cuts for these. need: partners share at least so many keys of a set's cut."""
     start = bands(percent, int(size.max(initial=1)))
     band = np.searchsorted(start, size, "right") - 1
     at = np.concatenate([[0], np.cumsum(size)])
@@ -73,8 +77,9 @@ def join_keys(row: np.ndarray, h: np.ndarray, size: np.ndarray, percent: int) ->
         both_row.append(np.flatnonzero(takes))
         both_group.append(band[takes] + up)
     rows, group = np.concatenate(both_row), np.concatenate(both_group)
+    cut = np.repeat([0, 1], [len(x) for x in both_row])
     apart = 2 * (start[group + 1] - 1) * (100 - percent) // (100 + percent)
-    spare = (0.03 * (apart + 1) + 2 * np.sqrt(0.03 * (apart + 1))).astype(np.int64)
+    spare = (0.15 * (apart + 1) + 2 * np.sqrt(0.06 * (apart + 1))).astype(np.int64)
     parts = apart + 1 + spare
 
     def segments(rows, parts, tag, again):
@@ -101,9 +106,14 @@ def join_keys(row: np.ndarray, h: np.ndarray, size: np.ndarray, percent: int) ->
     # Of the segments at least spare + 1 are equal. An empty one says nothing, so a set with more empty ones than `spare` also
     # takes part in a second cut, by another hash: two such sets may agree in empty segments only.
     owner, key, seen = segments(rows, parts, mix64(group.astype(U)), False)
-    bare = np.flatnonzero(np.bincount(owner[~seen], minlength=len(rows)) > spare)
+    need = spare + 1 - np.bincount(owner[~seen], minlength=len(rows))
+    bare = np.flatnonzero(need < 1)
     owner2, key2, _ = segments(rows[bare], apart[bare] + 1, mix64(group[bare].astype(U) + U(1 << 32)), True)
-    return np.concatenate([rows[owner[seen]], rows[bare][owner2]]), np.concatenate([key[seen], key2])
+    one = owner[seen]
+    return (
+        np.concatenate([rows[one], rows[bare][owner2]]), np.concatenate([key[seen], key2]),
+        np.concatenate([cut[one], cut[bare][owner2] + 2]), np.concatenate([np.maximum(need, 1)[one], np.ones(len(owner2), np.int64)]),
+    )
 
 
 def _sums(row: np.ndarray, x: np.ndarray, n: int) -> np.ndarray:
@@ -115,7 +125,7 @@ def _sums(row: np.ndarray, x: np.ndarray, n: int) -> np.ndarray:
 
 def _lists(row: np.ndarray, x: np.ndarray, n: int) -> pa.Array:
     ends = np.searchsorted(row, np.arange(n + 1)).astype(np.int32)
-    return pa.ListArray.from_arrays(pa.array(ends), pa.array(x.view(np.int64)))
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(x.view(np.int64) if x.dtype == U else x))
 
 
 def _digests(row, h, n):
@@ -131,16 +141,17 @@ def _describe(n: int, percent: int):
                 m = part.num_rows
                 size = np.bincount(row, minlength=m)
                 hi, lo = _digests(row, h, m)
-                krow, key = join_keys(row, h, size, percent)
+                krow, key, cut, need = join_keys(row, h, size, percent)
                 order = np.argsort(krow, kind="stable")
+                told = (need << 2 | cut)[order]
                 bits = np.bincount(row * (SKETCH_WORDS * 64) + (h % U(SKETCH_WORDS * 64)).astype(np.int64), minlength=m * SKETCH_WORDS * 64)
                 sketch = np.packbits((bits & 1).astype(np.uint8)).view(np.int64)
                 yield pa.RecordBatch.from_arrays(
                     [
-                        part.column("id"), part.column("file"), part.column("row"), pa.array(np.arange(uid, uid + m)), pa.array(size), pa.array(hi), pa.array(lo), _lists(krow[order], key[order], m),
+                        part.column("id"), part.column("file"), part.column("row"), pa.array(np.arange(uid, uid + m)), pa.array(size), pa.array(hi), pa.array(lo), _lists(krow[order], key[order], m), _lists(krow[order], told.astype(np.int32), m),
                         pa.ListArray.from_arrays(pa.array(np.arange(0, m * SKETCH_WORDS + 1, SKETCH_WORDS, dtype=np.int32)), pa.array(sketch)),
                     ],
-                    ["id", "file", "row", "uid", "n", "hi", "lo", "keys", "sketch"],
+                    ["id", "file", "row", "uid", "n", "hi", "lo", "keys", "told", "sketch"],
                 )
                 uid += m
 
@@ -169,17 +180,24 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
     """
     file, row = map(F.col, address) if address else (F.lit(None), F.lit(None))
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), file.cast("long").alias("file"), row.cast("long").alias("row"))
-    rows = staged(texts.mapInArrow(_describe(n, percent), "id long, file long, row long, uid long, n long, hi long, lo long, keys array<long>, sketch array<long>"), "sets")
+    rows = staged(texts.mapInArrow(trimmed(_describe(n, percent)), "id long, file long, row long, uid long, n long, hi long, lo long, keys array<long>, told array<int>, sketch array<long>"), "sets")
     full = rows.filter("n > 0")
     same = full.groupBy("hi", "lo").agg(F.min("uid").alias("node"), F.min("id").alias("first"))
     same = staged(same, "same")
-    nodes = full.select(F.col("uid").alias("node"), "n", "keys", "sketch").join(small(same.select("node")), "node", "left_semi")
-    shared = None
+    nodes = full.select(F.col("uid").alias("node"), "keys", "told").join(small(same.select("node")), "node", "left_semi")
+    parts = []
     for wave in range(WAVES):  # a part of the keys is dealt at a time
-        keyed = nodes.select("node", F.explode("keys").alias("key")).filter(F.pmod("key", F.lit(WAVES)) == wave)
-        several = keyed.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).filter("low != high").select("key", "low")
-        some = staged(keyed.join(several, "key").distinct(), "shared")
-        shared = some if shared is None else shared.unionAll(some)
+        keyed = nodes.select("node", F.inline(F.arrays_zip("keys", "told"))).select("node", F.col("keys").alias("key"), "told").filter(F.pmod("key", F.lit(WAVES)) == wave)
+        several = keyed.groupBy("key").agg(F.count("*").alias("often")).filter("often > 1")
+        parts.append(staged(keyed.join(several, "key").distinct(), "keys"))
+    # Partners share `need` keys of a cut at least, so they share one beside the need - 1 most frequent of each: those go, and with them
+    # what a common passage gives to very many texts. The order of keys is the same for all.
+    rank = F.row_number().over(W.partitionBy("node", F.col("told").bitwiseAND(F.lit(3))).orderBy(F.desc("often"), "key"))
+    left = staged(reduce(DataFrame.unionAll, parts).withColumn("rank", rank).filter(F.col("rank") >= F.shiftright("told", 2)).select("key", "node").distinct(), "rare")
+    released(*parts)
+    several = left.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).filter("low != high").select("key", "low")
+    shared = staged(left.join(several, "key"), "shared")
+    released(left)
     # one pair a node: most of a group is joined by these, and what isn't meets again below
     pairs = staged(shared.filter("node != low").groupBy(F.col("node").alias("b")).agg(F.min("low").alias("a")), "pairs")
     light = full.select(F.col("uid").alias("node"), "n", "sketch")
@@ -195,7 +213,7 @@ def link(docs: DataFrame, n: int = 5, percent: int = 80, id_col: str = "doc_id",
         used = close.select(F.explode(F.array("a", "b")).alias("node")).distinct()
         wanted = staged(same.join(used, "node"), "wanted")
         own = texts.join(small(wanted), F.col("id").eqNullSafe(F.col("first"))).select("node", "hi", "lo", "text")
-        grams = own.mapInArrow(_exact(n), "node long, grams array<long>").dropDuplicates(["node"])
+        grams = own.mapInArrow(trimmed(_exact(n)), "node long, grams array<long>").dropDuplicates(["node"])
         grams = staged(grams, "grams")
         met = close.join(grams.select(F.col("node").alias("b"), F.col("grams").alias("gb")), "b").join(grams.select(F.col("node").alias("a"), F.col("grams").alias("ga")), "a")
         met = met.withColumn("common", F.size(F.array_intersect("ga", "gb")))
