@@ -6,6 +6,8 @@ digests reads it without a shuffle. New texts are those without a digest there;
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import hashlib
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -13,6 +15,9 @@ from pyspark.sql import functions as F
 
 from orderproof.llm.common import ASCII_SPACE, scratch_path, staged
 
+#: A digest held by more than one row in so many is joined on its own.
+HOT = 1000
+
 
 def normalised(text: Column) -> Column:
     """Each run of ASCII white space as one space; null as empty."""
@@ -24,7 +29,8 @@ def digest_of(text: Column) -> Column:
 
 
 class DigestIndex:
-    """Opens the index at `path`, which is made where there is none. The bucket count is fixed when it is made."""
+    """Opens the index at `path`, which is made where there is none. The bucket count is fixed when it is made. One writer at a time: two
+    that ingest at once may both append the same new text."""
 
     def __init__(self, spark: SparkSession, path: str, buckets: int = 64):
         self.spark, self.path = spark, path.rstrip("/")
@@ -60,14 +66,27 @@ class DigestIndex:
         known = incoming.join(self.table().hint("merge"), "digest").select(
             "digest", "keep_id", "group_size", F.when(F.col("batch") == batch, F.col("first.row")).alias("stays")
         )
-        return rows.join(staged(known, "known"), "digest").select(
-            "id", "keep_id", "group_size", (F.col("row").eqNullSafe(F.col("stays"))).alias("kept"), "digest"
-        )
+        known = staged(known, "known")
+        # a digest that more than one row in HOT has is broadcast, of which there are fewer than HOT; the others are merged
+        often = F.col("group_size") * HOT > F.lit(rows.count())
+        hot = F.broadcast(known.filter(often))
+        met = rows.join(hot, "digest").unionByName(rows.join(hot.select("digest"), "digest", "left_anti").join(known.filter(~often), "digest"))
+        return met.select("id", "keep_id", "group_size", (F.col("row").eqNullSafe(F.col("stays"))).alias("kept"), "digest")
+
+    def forget(self) -> None:
+        """Takes the index out of the catalogue; its files stay."""
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+
+
+def _gone(index: DigestIndex) -> None:
+    with contextlib.suppress(Exception):  # the session may have ended
+        index.forget()
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     index = DigestIndex(spark, scratch_path(spark, "digest-index"), buckets=int(spark.conf.get("spark.sql.shuffle.partitions")))
+    atexit.register(_gone, index)
     return index.ingest(docs, "documents").select(
         F.col("id").alias("doc_id"), "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256")
     )
