@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderproof.llm import bpe
-from orderproof.llm.common import staged, text_slices
+from orderproof.llm.common import staged, text_slices, trimmed
 
 CHUNK, OVERLAP = 32_768, 1_024
 #: Text bytes encoded, and ids decoded, at a time.
@@ -115,14 +115,14 @@ def encode(docs: DataFrame, path: str, pattern: str, chunk: int = CHUNK, overlap
     long = F.char_length("text") > chunk
     piece = "id long, row long, first long, ids binary"
     dealt = texts.filter(long).mapInArrow(split, "id long, row long, k long, body string").repartition("row", "k")
-    chunks = staged(dealt.mapInArrow(cut, "id long, row long, k long, body string, head array<long>, tail array<long>, sure array<boolean>"), "chunks")
+    chunks = staged(dealt.mapInArrow(trimmed(cut), "id long, row long, k long, body string, head array<long>, tail array<long>, sure array<boolean>"), "chunks")
     stretches = staged(chunks.select("row", "k", "head", "tail", "sure").groupBy("row").applyInArrow(plan, "row long, k long, first long, start long, stop long"), "stretches")
     size = stretches.groupBy("row", "first").agg(F.count("*").alias("n"))
     bodies = chunks.select("id", "row", "k", "body").join(stretches.join(size, ["row", "first"]), ["row", "k"])
     whole = bodies.filter("n = 1").select("id", "row", "body", "first", "start", "stop").mapInArrow(one, piece)
     rest = bodies.filter("n > 1").groupBy("row", "first").applyInArrow(several, piece)
     joined = whole.unionAll(rest).groupBy("row").applyInArrow(join, "id long, ids binary")
-    return texts.filter(~long).select("id", "text").mapInArrow(short, "id long, ids binary").unionAll(joined)
+    return texts.filter(~long).select("id", "text").mapInArrow(trimmed(short), "id long, ids binary").unionAll(joined)
 
 
 def decode(rows: DataFrame, path: str, ids_col: str = "ids", out_col: str = "decoded") -> DataFrame:

@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderproof.llm import bpe
-from orderproof.llm.common import mix64, staged, text_slices
+from orderproof.llm.common import mix64, staged, text_slices, trimmed
 
 WIDTH, DIMS, BITS = 256, 4, 10
 PIECES = "doc_id long, start long, length long, ids binary, doc_tokens long, sequence_id long, offset long"
@@ -148,7 +148,7 @@ def pack(docs: DataFrame, make, end: int = 1, length: int = 2048, vocabulary: in
     """
     kind = "<u2" if vocabulary <= 1 << 16 else "<u4"
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    rows = staged(texts.mapInArrow(_tokenised(make, end, kind), "id long, ids binary, p array<double>"), "tokens")
+    rows = staged(texts.mapInArrow(trimmed(_tokenised(make, end, kind)), "id long, ids binary, p array<double>"), "tokens")
     told = rows.select(*(f(F.get("p", F.lit(d))).alias(f"{n}{d}") for d in range(DIMS) for n, f in (("m", F.avg), ("s", F.stddev_pop)))).head()
     mean, spread = (np.array([told[f"{n}{d}"] or 0.0 for d in range(DIMS)]) for n in "ms")
 

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from orderproof.llm.common import mix64, text_slices, word_hashes, words_of
+from orderproof.llm.common import mix64, text_slices, trim, word_hashes, words_of
 
 BITS = 20
 STRIP = ".,;:!?|#$%&*()[]{}<>\"'`~_-=+/\\"
@@ -126,7 +126,9 @@ class ToxicityModel:
 
         @F.arrow_udf("double")
         def toxic(text: pa.Array) -> pa.Array:
-            return pa.array(model.scores(text))
+            out = pa.array(model.scores(text))
+            trim()
+            return out
 
         return toxic(text)
 
