@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
@@ -86,8 +87,6 @@ def _serial_violations():
             self.rows.append(row.asDict())
 
         def terminate(self):
-            import pandas as pd
-
             from orderproof.functions.solver import solve
             from orderproof.plans.verify import _island
 
@@ -106,7 +105,7 @@ def _serial_violations():
 
 def _has_cycle():
     @F.pandas_udf("boolean")
-    def has_cycle(src, dst) -> bool:
+    def has_cycle(src: pd.Series, dst: pd.Series) -> bool:
         """Whether the edges of a group hold a cycle."""
         from orderproof.functions.closure import schedule
 

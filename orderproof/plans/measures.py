@@ -57,7 +57,7 @@ def detection_cube(spark: SparkSession) -> DataFrame:
 def detection_pivot(spark: SparkSession) -> DataFrame:
     """Share found, a row a method and a column a class."""
     long = detection(spark).unpivot(["class"], METHODS, "method", "found")
-    return long.groupBy("method").pivot("class", ["RAT", "WAT", "IAT", "Real"]).agg(F.round(F.count_if("found") / F.count("*"), 4))
+    return long.groupBy("method").pivot("class", ["RAT", "WAT", "IAT", "Real"]).agg(F.round(F.avg(F.coalesce("found", F.lit(False)).cast("int")), 4))
 
 
 #: What is true of the fixtures: none is serializable, so a method without gaps finds all.
