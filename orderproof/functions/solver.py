@@ -38,29 +38,37 @@ class Search:
         self.waiting: list[tuple[int, tuple]] = []  # open edges of chosen options
         self.learned: list[frozenset] = []
         self.conflicts = self.decisions = 0
+        self.log: list[tuple[dict, object]] = []  # keys that were added, to be taken back
+        self.facts = False  # while pruning: what is forced then rests on no choice
         self.clash: list[tuple[int, int]] = []  # the last cycle met: explicit edges in order
         self.stop = time.monotonic() + budget_s
 
     def support(self, i: int, j: int) -> frozenset:
         """Choices that a path from i to j rests on."""
-        out = frozenset()
+        if self.facts:
+            return frozenset()
+        out: set = set()
         for e in self.c.path(i, j):
             out |= self.why[e]
-        return out
+        return frozenset(out)
+
+    def put(self, where: dict, key, value) -> None:
+        where[key] = value
+        self.log.append((where, key))
 
     def add(self, u: int, v: int, because: frozenset) -> None:
         if u == v or self.c.reach(v, u):
             self.clash = [(u, v), *self.c.path(v, u)] if u != v else [(u, v)]
             raise Conflict(because | self.support(v, u) if u != v else because)
         if not self.c.reach(u, v):
-            self.why[u, v] = because
+            self.put(self.why, (u, v), because)
             self.c.insert(u, v)
 
     def choose(self, k: int, o: int, reason: frozenset | None) -> None:
-        self.chosen[k] = o
+        self.put(self.chosen, k, o)
         if reason is not None:
-            self.reason[k] = reason
-        mine = frozenset([(k, o)])
+            self.put(self.reason, k, reason)
+        mine = frozenset() if self.facts else frozenset([(k, o)])
         for u, v, via in self.cons[k][o]:
             if via is None:
                 self.add(u, v, mine)
@@ -73,7 +81,7 @@ class Search:
         for k, (u, v, (m, n)) in list(self.waiting):
             if self.c.reach(m, n):
                 if not self.c.reach(u, v):
-                    self.add(u, v, frozenset([(k, self.chosen[k])]) | self.support(m, n))
+                    self.add(u, v, frozenset() if self.facts else frozenset([(k, self.chosen[k])]) | self.support(m, n))
                     moved = True
         return moved
 
@@ -139,7 +147,9 @@ class Search:
         self.left = len(self.cons)
         try:
             if self.prune:
+                self.facts = True
                 self.propagate()
+                self.facts = False
         except Conflict:
             return done(False, "forced_conflict")
         self.left = len(self.cons) - len(self.chosen)
@@ -182,12 +192,15 @@ class Search:
         return k, free[0]
 
     def _save(self) -> tuple:
-        return self.c.mark(), dict(self.chosen), dict(self.reason), list(self.waiting), dict(self.why)
+        return self.c.mark(), len(self.log), len(self.waiting)
 
     def _restore(self, saved: tuple) -> None:
-        mark, chosen, reason, waiting, why = saved
+        mark, log, waiting = saved
         self.c.rollback(mark)
-        self.chosen, self.reason, self.waiting, self.why = dict(chosen), dict(reason), list(waiting), dict(why)
+        while len(self.log) > log:
+            where, key = self.log.pop()
+            del where[key]
+        del self.waiting[waiting:]
 
 
 def ring(cycle: list[tuple[int, int]]) -> list[tuple[int, int, str]]:

@@ -92,7 +92,8 @@ def _pred(name: str, run, select: str) -> None:
 
 _pred("pred_ops", lambda h: h.ops.select("txn_id", "op_seq", "kind", "obj", "ver", "pred_id"), "SELECT txn_id, op_seq, kind, obj, ver, pred_id FROM ops")
 _pred("theta_truth", lambda h: _many(prelim.theta(h), ["pred_id"], versions=F.count("*"), matching=F.count_if("holds")), "SELECT pred_id, count(*) AS versions, count(*) FILTER (holds) AS matching FROM th GROUP BY ALL")
-_pred("theta_matches", prelim.matches, "SELECT pred_id, obj, ver FROM th WHERE holds")
+_pred("theta_matches", lambda h: _many(prelim.matches(h), ["pred_id"], matching=F.count("*"), objects=F.countDistinct("obj"), total=F.sum("ver")),
+      "SELECT pred_id, count(*) AS matching, count(DISTINCT obj) AS objects, cast(sum(ver) AS bigint) AS total FROM th WHERE holds GROUP BY ALL")
 _pred("theta_reads_expanded", lambda h: _many(prelim.theta_reads(h), ["txn_id", "pred_id"], objects=F.count("*"), known=F.count("ver")), "SELECT txn_id, pred_id, count(*) AS objects, count(ver) AS known FROM tr GROUP BY ALL")
 _pred("unknown_theta_reads", lambda h: _many(prelim.unknown_theta_reads(h), ["txn_id", "pred_id"], objects=F.count("*")), "SELECT txn_id, pred_id, count(*) AS objects FROM tr WHERE ver IS NULL GROUP BY ALL")
 _pred("open_theta_reads", lambda h: _many(prelim.open_theta_reads(h), ["txn_id", "pred_id"], objects=F.count("*")), "SELECT reader AS txn_id, pred_id, count(*) AS objects FROM unk GROUP BY ALL")
