@@ -15,9 +15,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderproof.llm import bpe
-from orderproof.llm.common import mix64, staged, text_slices, trimmed
+from orderproof.llm.common import SLICE_BYTES, mix64, staged, text_slices, trimmed
 
 WIDTH, DIMS, BITS = 256, 4, 10
+#: Documents laid out at a time.
+ROWS = 500
 PIECES = "doc_id long, start long, length long, ids binary, doc_tokens long, sequence_id long, offset long"
 
 
@@ -61,13 +63,14 @@ def _tokenised(make, end: int, kind: str):
     def run(batches):
         enc = make()
         for batch in batches:
-            for part in text_slices(batch):
+            for part in text_slices(batch, limit=SLICE_BYTES // 2):
                 n, ids = bpe.encode_texts(part.column("text"), enc)
                 p = vectors(n, ids)
                 closed = np.insert(ids, np.cumsum(n), end)
                 yield pa.RecordBatch.from_arrays(
                     [part.column("id"), bpe.binaries(n + 1, closed, kind), pa.FixedSizeListArray.from_arrays(pa.array(p.ravel()), DIMS).cast(pa.list_(pa.float64()))], ["id", "ids", "p"]
                 )
+        enc.known.clear()  # the worker stays for other stages
 
     return run
 
@@ -117,11 +120,13 @@ def _packed(length: int, kind: str):
         def sizes():
             nonlocal count
             for batch in batches:
-                ids, raw = batch.column("id").to_pylist(), batch.column("ids").to_pylist()
-                at = np.arange(count, count + len(ids))
-                held.update(zip(at.tolist(), zip(ids, raw, strict=True), strict=True))
-                count += len(ids)
-                yield at, np.fromiter((len(b) // width for b in raw), np.int64, len(raw))
+                for a in range(0, batch.num_rows, ROWS):  # few at a time, whose bytes are held as Python's
+                    part = batch.slice(a, ROWS)
+                    ids, raw = part.column("id").to_pylist(), part.column("ids").to_pylist()
+                    at = np.arange(count, count + len(ids))
+                    held.update(zip(at.tolist(), zip(ids, raw, strict=True), strict=True))
+                    count += len(ids)
+                    yield at, np.fromiter((len(b) // width for b in raw), np.int64, len(raw))
 
         for out, waiting in lay_out(sizes(), length, TaskContext.get().partitionId() << 32):
             cols = [[], [], [], [], [], [], []]
@@ -136,7 +141,7 @@ def _packed(length: int, kind: str):
                 part = [c[a : a + 2000] for c in cols]
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary() if k == 3 else pa.int64()) for k, c in enumerate(part)], ["doc_id", "start", "length", "ids", "doc_tokens", "sequence_id", "offset"])
 
-    return run
+    return trimmed(run)
 
 
 def pack(docs: DataFrame, make, end: int = 1, length: int = 2048, vocabulary: int = 50_257, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
