@@ -22,7 +22,7 @@ from orderproof.llm.common import hashed_words, mix64, plan_bytes, released, sta
 
 U = np.uint64
 BOS, END = U(0x1D8E4E27C47D124F), U(0xE29AD4B97F2E0C35)
-SEGMENT_TOKENS = 4_000_000
+SEGMENT_TOKENS = 5_000_000
 WAVES = 4
 LOW = 48  # bits of a key besides its bucket
 ROW = "kind string, seg long, bucket int, id long, held boolean, a binary, b binary"
