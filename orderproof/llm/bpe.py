@@ -11,7 +11,7 @@ import pyarrow as pa
 from orderproof.llm.common import from_buffers, text_buffers
 
 #: Pieces whose ids a worker remembers.
-CACHE = 100_000
+CACHE = 300_000
 #: Last bytes of white space characters above ASCII: no unit ends after one of these.
 SPACE_ENDS = bytes([*range(0x80, 0x8B), 0x9F, 0xA0, 0xA8, 0xA9, 0xAF])
 
