@@ -66,8 +66,7 @@ def sessions(spark: SparkSession, sf_dir: str, gap: str = "30 minutes") -> DataF
     static = spark.read.parquet(f"{sf_dir}/events.parquet").withColumn("at", F.col("ts").cast("timestamp"))
     whole = static.groupBy(F.session_window("at", gap).alias("w"), "user_id").agg(F.count("*").alias("n"))
     whole = whole.select(F.unix_micros("w.start").alias("from_us"), F.unix_micros("w.end").alias("to_us"), "user_id", "n")
-    keys = ["from_us", "to_us", "user_id"]
-    return got.unionByName(whole.join(got.select(*keys), keys, "left_anti"))
+    return got.unionByName(whole.exceptAll(got))  # users may be null
 
 
 SESSION_SQL = """WITH o AS (SELECT user_id, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 1800000000 THEN 0 ELSE 1 END AS new FROM events),
@@ -87,9 +86,9 @@ def _log(spark: SparkSession, h: History) -> tuple[str, DataFrame]:
 
 def wr_edges(spark: SparkSession, h: History, horizon: str = "3650 days") -> DataFrame:
     """(src, dst, obj): read dependencies by joining the stream of reads with the stream of writes; a write waits `horizon` for its
-    readers."""
+    readers, and rows may come as much out of order."""
     _, log = _log(spark, h)
-    ok = log.filter("status = 'c'").withWatermark("at", "1 hour")
+    ok = log.filter("status = 'c'").withWatermark("at", horizon)
     w = ok.filter("kind = 'w'").select(F.col("txn_id").alias("src"), F.col("obj").alias("w_obj"), F.col("ver").alias("w_ver"), F.col("at").alias("w_at"))
     r = ok.filter("kind <> 'w' AND ver IS NOT NULL").select(F.col("txn_id").alias("dst"), "obj", "ver", "at")
     met = r.join(w, F.expr(f"obj = w_obj AND ver = w_ver AND w_at BETWEEN at - INTERVAL {horizon} AND at + INTERVAL {horizon}"))
