@@ -1,15 +1,17 @@
 """Licence scan by a trained paragraph classifier.
 
 Paragraphs, runs of lines with words, are scored by multinomial logistic regression over sparse word n-grams of licence texts. It
-is trained on labelled samples made from templates of each family, whole and with words dropped, against ordinary lines of a bounded
-sample of documents as the unknown class. The threshold of the unknown class is calibrated on samples that didn't train, and a
+is trained on labelled samples made from templates of each family, whole and with words dropped, against all ordinary lines of the
+documents as the unknown class. The threshold of the unknown class is calibrated on samples that didn't train, and a
 family is told only where its template confirms it: enough of the template's word bigrams stand close together in the paragraph,
 whatever its line breaks. Of notices that share words the one nearer to its template is told.
 """
 
 from __future__ import annotations
 
+from collections import Counter
 from dataclasses import dataclass
+from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
@@ -18,6 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderproof.llm.common import mix64, text_slices, word_hashes, words_of
+from orderproof.sources.scratch import scope, written
 
 UNKNOWN = "unknown"
 #: Notices by which texts name their licence, by family.
@@ -150,15 +153,73 @@ def _samples(rng, each: int) -> tuple[list[str], list[int]]:
     return texts, labels
 
 
-def fit(docs: DataFrame, documents: int = 400, each: int = 60, steps: int = 300, seed: int = 5, id_col: str = "doc_id", text_col: str = "text") -> LicenceModel:
-    """Trains on `each` samples of every family and the paragraphs of `documents` documents (those with the smallest hash of id,
-    a documented bound) as unknown; every fourth sample calibrates instead. Paragraphs that hold "licen" aren't taken as unknown."""
-    ids = docs.filter(F.col(text_col).isNotNull()).select(F.col(id_col).alias("i")).orderBy(F.xxhash64("i", F.lit(23)), "i").limit(documents)
-    plain = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).join(F.broadcast(ids), "i", "left_semi")
-    lines = [r.line for r in plain.select(F.explode(F.split("t", "\n")).alias("line")).filter("length(trim(line)) > 0 AND NOT lower(line) LIKE '%licen%'").orderBy(F.xxhash64("line")).limit(20 * documents).collect()]
+def _sets(docs: DataFrame, column: np.ndarray, text_col: str) -> DataFrame:
+    """(cols, n, held): the different sets of template columns of all ordinary lines of docs (16-bit numbers in order), how many lines have
+    each, and whether it calibrates. Ordinary are lines with words that don't hold "licen"."""
+
+    def run(batches):
+        for batch in batches:
+            for part in text_slices(batch):
+                lines = pc.list_flatten(pc.split_pattern(pc.fill_null(part.column("text"), "").cast(pa.large_string()), "\n"))
+                lines = lines.filter(pc.and_(pc.greater(pc.utf8_length(pc.utf8_trim_whitespace(lines)), 0), pc.invert(pc.match_substring(lines, "licen", ignore_case=True))))
+                row, feature, _ = grams(lines)
+                hit = column[feature] >= 0
+                pair = np.unique(row[hit] * len(column) + column[feature[hit]])
+                row, col = pair // len(column), (pair % len(column)).astype("<u2").tobytes()
+                cuts = [0, *(np.flatnonzero(np.diff(row)) + 1).tolist(), len(row)] if len(row) else [0]
+                found = Counter(col[2 * i : 2 * j] for i, j in pairwise(cuts))
+                found[b""] = len(lines) - sum(found.values())
+                yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.binary()), pa.array(list(found.values()), pa.int64())], ["cols", "n"])
+
+    counted = docs.select(F.col(text_col).alias("text")).mapInArrow(run, "cols binary, n long").groupBy("cols").agg(F.sum("n").alias("n"))
+    return counted.filter("n > 0").withColumn("held", F.pmod(F.xxhash64("cols"), F.lit(4)) == 3)
+
+
+def _pass(col: np.ndarray, size: np.ndarray, y: np.ndarray, n: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, float, np.ndarray]:
+    """(gradient, loss, probabilities) of rows with labels y, weights n and `size` columns each, which stand in col one row after the other;
+    the last row of w is the bias."""
+    z, full = np.tile(w[-1], (len(size), 1)), size > 0
+    if len(col):
+        z[full] += np.add.reduceat(w[col], (np.cumsum(size) - size)[full])
+    z -= z.max(1, keepdims=True)
+    p = np.exp(z)
+    p /= p.sum(1, keepdims=True)
+    at = np.arange(len(y))
+    loss = -float((n * np.log(np.maximum(p[at, y], 1e-300))).sum())
+    g = p * n[:, None]
+    g[at, y] -= n
+    each = np.repeat(g, size, axis=0)
+    return np.vstack([np.stack([np.bincount(col, each[:, k], len(w) - 1) for k in range(w.shape[1])], 1), g.sum(0)]), loss, p
+
+
+def _over(sets: DataFrame, w: np.ndarray, held: bool) -> tuple[np.ndarray, float, float]:
+    """(gradient, loss, greatest probability of any family) over the ordinary sets that calibrate, or that train."""
+
+    def run(batches):
+        total, loss, most = np.zeros_like(w), 0.0, 0.0
+        for batch in batches:
+            cols = batch.column("cols").to_pylist()
+            if cols:
+                size = np.array([len(x) // 2 for x in cols])
+                g, more, p = _pass(np.frombuffer(b"".join(cols), "<u2").astype(np.int64), size, np.zeros(len(cols), np.int64), batch.column("n").to_numpy().astype(float), w)
+                total, loss, most = total + g, loss + more, max(most, float(1 - p[:, 0].min()))
+        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary()), pa.array([loss]), pa.array([most])], ["g", "loss", "most"])
+
+    rows = sets.filter(F.col("held") == held).select("cols", "n").mapInArrow(run, "g binary, loss double, most double").collect()
+    return sum((np.frombuffer(r.g).reshape(w.shape) for r in rows), np.zeros_like(w)), sum(r.loss for r in rows), max((r.most for r in rows), default=0.0)
+
+
+def fit(docs: DataFrame, each: int = 60, steps: int = 60, ordinary: float = 0.75, seed: int = 5, text_col: str = "text") -> LicenceModel:
+    """Trains on `each` samples of every family and all ordinary lines of docs as unknown, which together weigh `ordinary` of the whole and
+    one as much as another; every fourth sample, and of ordinary lines every fourth set of template words, calibrates instead.
+
+    Lines count only by the template words and bigrams they hold, so their different sets are counted once and each step sums its
+    gradient over all of them in Spark: the driver holds the weights, not the lines. Steps are accelerated ones, begun anew with half
+    the rate where the loss grew.
+    """
     rng = np.random.default_rng(seed)
     texts, labels = _samples(rng, each)
-    texts, label = texts + lines, np.array(labels + [0] * len(lines))
+    label = np.array(labels)
     base = [(k, t) for k, f in enumerate(FAMILIES[1:], 1) for t in TEMPLATES[f]]
     _, feature, _ = grams(pa.array([t for _, t in base], pa.large_string()))
     column = np.full(1 << BITS, -1)
@@ -167,33 +228,32 @@ def fit(docs: DataFrame, documents: int = 400, each: int = 60, steps: int = 300,
     for k, t in base:
         _, f, w = grams(pa.array([t], pa.large_string()))
         templates.append((k, np.unique(f[w == 2])))
-    row, feature, _ = grams(pa.array(texts, pa.large_string()))
+    train = np.arange(len(texts)) % 4 != 3
+    row, feature, _ = grams(pa.array([t for t, own in zip(texts, train, strict=True) if own], pa.large_string()))
     hit = column[feature] >= 0
-    n, m = len(texts), int(column.max()) + 1
+    n, m = int(train.sum()), int(column.max()) + 1
     x = np.unique(row[hit] * m + column[feature[hit]])
-    r, c = x // m, x % m
-    model = LicenceModel(column, np.zeros((m, len(FAMILIES))), np.zeros(len(FAMILIES)), 0.5, templates)
-    train = np.arange(n) % 4 != 3
-    y = np.eye(len(FAMILIES))[label]
-    share = train / max(1, train.sum())
-    for _ in range(steps):
-        z = np.tile(model.bias, (n, 1))
-        np.add.at(z, r, model.weights[c])
-        p = np.exp(z - z.max(1, keepdims=True))
-        p /= p.sum(1, keepdims=True)
-        g = (p - y) * share[:, None]
-        gw = np.zeros_like(model.weights)
-        np.add.at(gw, c, g[r])
-        model.weights -= 4.0 * (gw + 1e-4 * model.weights)
-        model.bias -= 4.0 * g.sum(0)
-    # the unknown class: the least threshold, 0.5 or more, that no calibrating ordinary paragraph reaches
-    z = np.tile(model.bias, (n, 1))
-    np.add.at(z, r, model.weights[c])
-    p = np.exp(z - z.max(1, keepdims=True))
-    p /= p.sum(1, keepdims=True)
-    other = 1 - p[(label == 0) & ~train, 0]
-    model.threshold = float(min(0.95, max(0.5, other.max(initial=0.0) * 1.05)))
-    return model
+    own = x % m, np.bincount(x // m, minlength=n), label[train], np.full(n, (1 - ordinary) / n)
+    with scope(docs.sparkSession):
+        sets = written(_sets(docs, column, text_col))
+        lines = sets.filter("NOT held").agg(F.sum("n")).head()[0] or 1
+        w = ahead = np.zeros((m + 1, len(FAMILIES)))
+        rate, k, best = 4.0, 0, np.inf
+        ridge = np.full((m + 1, 1), 1e-4)
+        ridge[-1] = 0  # of the bias
+        for _ in range(steps):
+            g, loss, _ = _pass(*own, ahead)
+            more, other, _ = _over(sets, ahead, False)
+            loss += other * ordinary / lines + 0.5 * float((ridge * ahead**2).sum())
+            if loss > best + 1e-9:
+                rate, k, ahead, best = rate / 2, 0, w, np.inf
+                continue
+            k, best = k + 1, loss
+            now = ahead - rate * (g + more * (ordinary / lines) + ridge * ahead)
+            w, ahead = now, now + (k - 1) / (k + 2) * (now - w)
+        # the unknown class: the least threshold, 0.5 or more, that no calibrating ordinary line reaches
+        most = _over(sets, w, True)[2]
+    return LicenceModel(column, w[:-1], w[-1], float(min(0.95, max(0.5, most * 1.05))), templates)
 
 
 def scan(docs: DataFrame, model: LicenceModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
